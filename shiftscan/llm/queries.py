@@ -3,18 +3,48 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import minhash
+from . import langid, minhash, secrets
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def _remainder(n: int):
+    """crc32 of the doc_id written as text, modulo n."""
+    return F.crc32(F.col("doc_id").cast("string").cast("binary")) % n
+
+
+def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    spans = F.col("secrets.spans")
+
+    def count(kind: int):
+        return F.size(F.filter(spans, lambda s: s.kind == kind)).cast("long")
+
+    return secrets.scan(_table(spark, sf_dir, "documents").select("doc_id", "text")).select(
+        "doc_id",
+        count(0).alias("n_assign"),
+        count(1).alias("n_access"),
+        count(2).alias("n_hex"),
+        F.sha2(secrets.written(F.filter(spans, lambda s: s.kind < 3)).cast("binary"), 256).alias("base_sha256"),
+        secrets.written(spans).alias("spans"),
+        count(3).alias("n_random"),
+    )
+
+
 def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op10_cross_parsing_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    held_out = F.coalesce(_remainder(4) == 2, F.lit(False))
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    got = langid.identify(docs, train=F.coalesce(_remainder(4) != 2, F.lit(False)))
+    return got.select("doc_id", held_out.alias("held_out"), F.col("language.lang_pred").alias("lang_pred"), F.col("language.score").alias("score"))
+
+
 def queries() -> dict:
     return {k: f for k, f in globals().items() if k.startswith("op") and k[2].isdigit()}
 
