@@ -27,6 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..ship import ship
 from .common import need
 
 UNKNOWN = "und"
@@ -167,6 +168,7 @@ def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_ch
     the winner, 0 to 1; ``bits`` the winner's entropy per symbol.
     """
     need(docs, "text", "lang")
+    ship(docs.sparkSession)
     samples = samples_of(docs, train, docs_per_lang, sample_chars)
 
     @F.pandas_udf("struct<lang_pred: string, score: double, bits: double>")

@@ -7,9 +7,9 @@ tuples. At Jaccard similarity s a pair meets in some table with probability
 defaults, and 60 minhashes stand in for the 600 that 100 separate bands would need.
 
 Documents with the same shingle set form a class first; one of them goes on. In
-each bucket all members meet the smallest one. Buckets whose members are then still
-in several components go on to meet across those components, so that no candidate
-pair that could join two components stays untested. Every link is confirmed on the
+each bucket all members meet the smallest one. The members of buckets that then still
+lie in several components go on to an exact join on their rarest shingles, so that no
+candidate pair that could join two components stays untested. Every link is confirmed on the
 full shingle sets. Defined results: a null, empty or blank text has an empty set and
 no links; repeated rows of one doc_id are one vertex; a row without a doc_id takes
 its class's component, else null, and is kept only in the latter case; other columns
@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..ship import ship
 from . import tokens
 from .common import need, stored, text_of
 from .components import components
@@ -101,7 +102,7 @@ def _verifier(size: int, percent: int):
             while row < batch.num_rows:
                 # Runs of whole pairs, by the bytes of their texts.
                 to, held = row, 0
-                while to < batch.num_rows and (held < (4 << 20) or to == row):
+                while to < batch.num_rows and (held < (1 << 20) or to == row):
                     held += len(batch.column(2)[to].as_buffer() or b"") + len(batch.column(3)[to].as_buffer() or b"")
                     to += 1
                 part = batch.slice(row, to - row)
@@ -122,12 +123,50 @@ def _verifier(size: int, percent: int):
     return check
 
 
+def _shingles_of(size: int):
+    schema = pa.schema([("id", pa.int64()), ("n", pa.int64()), ("c", pa.int64()), ("h", pa.int64())])
+
+    def rows(batches):
+        for batch in batches:
+            for base, _, doc, h in shingle_sets(batch.column(3), size):
+                take = pa.array(doc + base)
+                yield pa.RecordBatch.from_arrays([*(batch.column(k).take(take) for k in range(3)), pa.array(h.view(np.int64))], schema=schema)
+
+    return rows
+
+
+def _rare_pairs(docs: DataFrame, size: int, percent: int) -> DataFrame:
+    """(a, b, n_a, n_b): pairs of different components that share one of their rarest shingles.
+
+    In any common order of shingles, sets of similarity t share one of the first
+    ``n - ceil(t * n) + 1`` of either. Rarest first, what many texts have in common
+    comes last and brings nothing together. ``docs``: (id, n, c, text).
+    """
+    rows = stored(docs.select("id", "n", "c", "text").mapInArrow(_shingles_of(size), "id long, n long, c long, h long"), "shingles")
+    often = rows.groupBy("h").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    ranked = rows.join(often, "h", "left").select("id", "n", "c", F.struct(F.coalesce("df", F.lit(1)).alias("df"), "h").alias("s"))
+    need_first = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
+    ordered = ranked.groupBy("id", "n", "c").agg(F.array_sort(F.collect_list("s")).alias("s"))
+    first = ordered.select("id", "n", "c", F.posexplode(F.slice("s", F.lit(1), need_first.cast("int"))).alias("i", "s"))
+    first = stored(first.where("s.df > 1").select(F.col("s.h").alias("h"), "id", "n", "c", (F.col("i") + 1).alias("i")), "rare")
+    across = first.groupBy("h").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low < high").select("h")
+    x = first.join(across, "h").toDF("h", "a", "n_a", "c_a", "i_a")
+    # The smaller of two sets shares one of even fewer; and from the first shared shingle on, enough must be left.
+    fewer = F.col("i") <= F.col("n") - F.ceil(F.col("n") * 2 * percent / (100 + percent)) + 1
+    y = first.where(fewer).toDF("h", "b", "n_b", "c_b", "i_b")
+    left = 1 + F.least(F.col("n_a") - F.col("i_a"), F.col("n_b") - F.col("i_b"))
+    enough = left * (100 + percent) >= (F.col("n_a") + F.col("n_b")) * percent
+    pairs = x.join(y, (x.h == y.h) & (F.col("n_b") <= F.col("n_a")) & (F.col("c_a") != F.col("c_b")) & enough)
+    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("n_a")).otherwise(F.col("n_b")).alias("n_a"), F.when(F.col("a") < F.col("b"), F.col("n_b")).otherwise(F.col("n_a")).alias("n_b"))
+
+
 def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 80, collections: int = 10, rows: int = 3, seed: int = 7) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of ``docs`` (doc_id, text).
 
     ``percent``: least Jaccard similarity of the shingle sets, in hundredths.
     """
     need(docs, "doc_id", "text")
+    ship(docs.sparkSession)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text"))
     signed = stored(texts.mapInArrow(_signer(size, collections, rows, seed), "doc_id long, n_shingles long, set_a long, set_b long, u array<long>, v array<long>"), "signed")
     # One vertex for each distinct shingle set; equal sets have equal collections.
@@ -151,11 +190,9 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 80, collectio
     label = F.coalesce("component", "id").alias("c")
     placed = members.join(found, "id", "left").select("key", "id", "n", label)
     open_keys = placed.groupBy("key").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low < high").select("key")
-    rest = stored(placed.join(open_keys, "key"), "rest")
+    rest = stored(placed.join(open_keys, "key").select("id", "n", "c").distinct(), "rest")
     if not rest.isEmpty():
-        x, y = rest.toDF("key", "a", "n_a", "c_a"), rest.toDF("key", "b", "n_b", "c_b")
-        across = x.join(y, "key").where("c_a < c_b").where(alike(F.col("n_a"), F.col("n_b"))).select("a", "b").distinct()
-        more = confirmed(across)
+        more = confirmed(_rare_pairs(rest.join(texts.withColumnRenamed("doc_id", "id"), "id"), size, percent).where(alike(F.col("n_a"), F.col("n_b"))).select("a", "b").distinct())
         if not more.isEmpty():
             found = components(links.union(more))
     of_class = classes.select("n_shingles", "set_a", "set_b", "id").join(found, "id", "left").select("n_shingles", "set_a", "set_b", F.coalesce("component", "id").alias("component"))

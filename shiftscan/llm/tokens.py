@@ -76,6 +76,22 @@ def _plain(column) -> tuple[np.ndarray, np.ndarray]:
     return at.astype(np.int64), np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)
 
 
+_SPOKEN = np.ones(256, bool)  # bytes that make up words once punctuation is gone
+_SPOKEN[[*range(33, 48), *range(58, 65), *range(91, 97), *range(123, 127)]] = False
+
+
+def plain(at: np.ndarray, raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Without ASCII punctuation, and with the capitals of Latin-1 letters lowered too."""
+    keep = _SPOKEN[raw]
+    kept = np.zeros(len(raw) + 1, np.int64)
+    np.cumsum(keep, out=kept[1:])
+    raw = raw[keep]
+    if len(raw) > 1:
+        high = (raw[:-1] == 0xC3) & (raw[1:] >= 0x80) & (raw[1:] <= 0x9E) & (raw[1:] != 0x97)
+        raw[1:][high] += 0x20
+    return kept[at], raw
+
+
 def slices(column, most: int = SLICE_BYTES) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """(first row, byte offsets from 0, bytes) of runs of whole texts of about ``most`` bytes."""
     at, data = _plain(column)
@@ -86,9 +102,12 @@ def slices(column, most: int = SLICE_BYTES) -> Iterator[tuple[int, np.ndarray, n
         row = to
 
 
-def words(column, most: int = SLICE_BYTES) -> Iterator[Words]:
+def words(column, most: int = SLICE_BYTES, spoken: bool = False) -> Iterator[Words]:
+    """``spoken``: words without punctuation (see ``plain``)."""
     with np.errstate(over="ignore"):
         for row, at, raw in slices(column, most):
+            if spoken:
+                at, raw = plain(at, raw)
             low, blank, n = _LOWER[raw], _BLANK[raw], len(raw)
             begins = ~blank
             begins[1:] &= blank[:-1]
