@@ -161,8 +161,8 @@ def samples_of(docs: DataFrame, train: Column, docs_per_lang: int, sample_chars:
     return tuple(sorted(out.items()))
 
 
-def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_chars: int = 40_000, alphabet: int = 96, block: int = 1024) -> DataFrame:
-    """The columns of ``docs`` and struct ``language`` (lang_pred, score, bits).
+def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_chars: int = 40_000, alphabet: int = 96, block: int = 1024, into: str = "language") -> DataFrame:
+    """The columns of ``docs`` and struct ``into`` (lang_pred, score, bits).
 
     ``train``: which rows may be learned from. ``score`` is the runner-up's lead over
     the winner, 0 to 1; ``bits`` the winner's entropy per symbol.
@@ -199,4 +199,4 @@ def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_ch
             row = to
         return pd.DataFrame({"lang_pred": pd.Series(pred, dtype=object), "score": np.concatenate(score) if score else [], "bits": np.concatenate(bits) if bits else []})
 
-    return docs.withColumn("language", predict(F.col("text").cast("string")))
+    return docs.withColumn(into, predict(F.col("text").cast("string")))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import langid, minhash, secrets
+from . import decontam, langid, minhash, mixing, secrets, urls
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,6 +17,25 @@ def _remainder(n: int):
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % n
 
 
+# The URL rules, and labels of hosts whose pages the tables' URL list holds.
+URL_RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
+LISTED_LABELS = ["adult-x", "free-bets", "spam-farm"]
+
+
+def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The tables hold no URL list: it is made of the canonical URLs on hosts with certain labels."""
+    pages = _table(spark, sf_dir, "pages").select("page_id", "url")
+    at = urls.parts(F.col("url"))
+    listed = pages.where(F.arrays_overlap(F.split(at.host, r"\."), F.lit(LISTED_LABELS))).select(urls.canonical(at.host, at.path).alias("url"))
+    return urls.judge(pages, listed, URL_RULES).select("page_id", "host", "path", "rule", "verdict")
+
+
+def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    got = decontam.contamination(docs, _table(spark, sf_dir, "benchmark"))
+    return got.select("doc_id", (F.size("items") > 0).alias("contaminated"), "items")
+
+
 def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     spans = F.col("secrets.spans")
 
@@ -34,6 +53,24 @@ def op5_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+# The tree's weights; siblings that are not named weigh 1.
+MIX_WEIGHTS = {("web",): 5, ("books",): 3, ("reference",): 2} | {(d, lang): w for d in ("web", "books", "reference") for lang, w in (("en", 4), ("de", 2), ("fr", 2), ("es", 2))}
+
+
+def mix_levels():
+    """domain, language, source. The tables have no domain: a source's number stands in for it."""
+    number = F.regexp_extract(F.coalesce("source", F.lit("")), r"([0-9]+)$", 1)
+    domain = F.when(number == "", "reference").otherwise(F.get(F.array(F.lit("web"), F.lit("books"), F.lit("reference")), F.pmod(F.crc32(number.cast("binary")), F.lit(3)).cast("int")))
+    return [domain, F.col("lang"), F.col("source")]
+
+
+def op6_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
+    domain, _, _ = mix_levels()
+    got = mixing.mix(docs, mix_levels(), MIX_WEIGHTS, fraction=0.6)
+    return got.select("doc_id", domain.alias("domain"), "lang", "source", "n_tokens", "n_copies")
+
+
 def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(_table(spark, sf_dir, "documents"))
 
@@ -49,5 +86,30 @@ def queries() -> dict:
     return {k: f for k, f in globals().items() if k.startswith("op") and k[2].isdigit()}
 
 
+OP2_SQL = r"""
+WITH cut AS (
+  SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) END AS rest FROM pages
+), split AS (
+  SELECT page_id,
+         coalesce(translate(regexp_extract(rest, '^([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '') AS host,
+         coalesce(regexp_extract(rest, '^[^/?#]*([^?#]*)', 1), '') AS path
+  FROM cut
+), named AS (
+  SELECT *, regexp_replace(host, '^www\.', '') || regexp_replace(regexp_replace(path, '/index\.html?$', '/'), '/+$', '') AS canon FROM split
+), listed AS (
+  SELECT DISTINCT canon FROM named WHERE list_has_any(string_split(host, '.'), ['adult-x', 'free-bets', 'spam-farm'])
+), rules(h, p, verdict) AS (
+  VALUES ('com', '/', 'allow'), ('example.com', '/en/', 'block'), ('www.example.com', '/en/', 'allow'), ('net', '/es/', 'block'), ('net', '/fr/', 'block')
+), fits AS (
+  SELECT page_id, arg_max(h || p, length(h || p)) AS rule, arg_max(verdict, length(h || p)) AS verdict
+  FROM named JOIN rules ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p)
+  GROUP BY page_id
+)
+SELECT n.page_id, n.host, n.path, f.rule,
+       coalesce(f.verdict, CASE WHEN n.canon IN (SELECT canon FROM listed) THEN 'block' ELSE 'allow' END) AS verdict
+FROM named n LEFT JOIN fits f ON n.page_id = f.page_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_url_filter": OP2_SQL}
