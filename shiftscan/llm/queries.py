@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, langid, minhash, mixing, secrets, urls, vectors
+from . import decontam, langid, licenses, minhash, mixing, secrets, surrogates, urls, vectors
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,6 +17,18 @@ def _remainder(n: int):
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % n
 
 
+def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = licenses.scan(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    sure = F.filter("licenses", lambda x: x.license.isNotNull())
+    return got.select(
+        "doc_id",
+        F.size("licenses").alias("n_blocks"),
+        F.array_join(F.array_sort(F.array_distinct(F.transform(sure, lambda x: x.license))), ",").alias("licenses"),
+        F.array_max(F.transform(sure, lambda x: x.reduction)).alias("reduction"),
+        F.aggregate(sure, F.lit(0), lambda a, x: a + F.size(x.differences)).alias("n_differences"),
+    )
+
+
 # The URL rules, and labels of hosts whose pages the tables' URL list holds.
 URL_RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
 LISTED_LABELS = ["adult-x", "free-bets", "spam-farm"]
@@ -79,6 +91,12 @@ def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op9_surrogate_generation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = surrogates.pseudonymise(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    counts = [F.size(F.filter("kinds", lambda x, k=k: x == k)).alias(f"n_{k}") for k in surrogates.KINDS]
+    return got.select("doc_id", "text", *counts)
+
+
 def op10_cross_parsing_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     held_out = F.coalesce(_remainder(4) == 2, F.lit(False))
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
