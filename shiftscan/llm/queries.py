@@ -93,8 +93,11 @@ def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_surrogate_generation(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = surrogates.pseudonymise(_table(spark, sf_dir, "documents").select("doc_id", "text"))
-    counts = [F.size(F.filter("kinds", lambda x, k=k: x == k)).alias(f"n_{k}") for k in surrogates.KINDS]
-    return got.select("doc_id", "text", *counts)
+
+    def count(kind: str):
+        return F.size(F.filter("kinds", lambda x: x == kind)).alias(f"n_{kind}")
+
+    return got.select("doc_id", "text", *map(count, surrogates.KINDS))
 
 
 def op10_cross_parsing_language(spark: SparkSession, sf_dir: str) -> DataFrame:
