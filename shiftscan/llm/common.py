@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..ship import ship
+
 
 def shared_folder(spark: SparkSession) -> str:
     """The folder that driver and executors share; a temporary one only where none is set (tests)."""
@@ -39,3 +44,23 @@ def need(df: DataFrame, *names: str) -> None:
 def text_of(column: str = "text"):
     """A null text counts as empty."""
     return F.coalesce(F.col(column).cast("string"), F.lit(""))
+
+
+def prepare(spark: SparkSession, rows: int = 1000) -> None:
+    """Before Python work on texts: the package goes to the executors, and Arrow batches have few rows.
+
+    Batches are bounded by rows only, texts are long, and the plan is run by the caller;
+    so the limit stays set for the session, unless it is lower already.
+    """
+    ship(spark)
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = int(spark.conf.get(key))
+    if not 0 < before <= rows:
+        spark.conf.set(key, str(rows))
+
+
+def trim() -> None:
+    """Gives memory that a Python worker no longer uses back to the system; the worker lives on for other tasks."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)

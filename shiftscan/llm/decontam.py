@@ -25,9 +25,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..ship import ship
 from . import tokens
-from .common import need, text_of
+from .common import need, prepare, text_of
 
 # (least words of an item, steps of a walk, sampled steps)
 SIZES = ((1, 1, 1), (2, 2, 2), (4, 6, 3), (8, 15, 5))
@@ -183,7 +182,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, percent: int = 20, roun
     """The columns of ``docs`` and array ``into`` of the item ids found in its text."""
     need(docs, "text")
     need(benchmark, "item_id", "text")
-    ship(docs.sparkSession)
+    prepare(docs.sparkSession)
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), text_of().alias("text")).where("item_id is not null").distinct()
     chars = items.agg(F.sum(F.length("text"))).first()[0] or 0
     blocks = -(-chars // block_chars)

@@ -24,11 +24,11 @@ from math import log2
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..ship import ship
-from .common import need
+from .common import need, prepare, trim
 
 UNKNOWN = "und"
 
@@ -161,42 +161,39 @@ def samples_of(docs: DataFrame, train: Column, docs_per_lang: int, sample_chars:
     return tuple(sorted(out.items()))
 
 
-def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_chars: int = 40_000, alphabet: int = 96, block: int = 1024, into: str = "language") -> DataFrame:
+def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_chars: int = 30_000, alphabet: int = 96, block: int = 1024, into: str = "language") -> DataFrame:
     """The columns of ``docs`` and struct ``into`` (lang_pred, score, bits).
 
     ``train``: which rows may be learned from. ``score`` is the runner-up's lead over
     the winner, 0 to 1; ``bits`` the winner's entropy per symbol.
     """
     need(docs, "text", "lang")
-    ship(docs.sparkSession)
+    prepare(docs.sparkSession)
     samples = samples_of(docs, train, docs_per_lang, sample_chars)
 
-    @F.pandas_udf("struct<lang_pred: string, score: double, bits: double>")
-    def predict(column):
-        import pandas as pd
+    result = pa.struct([("lang_pred", pa.string()), ("score", pa.float64()), ("bits", pa.float64())])
 
+    @F.arrow_udf("struct<lang_pred: string, score: double, bits: double>")
+    def predict(column: pa.Array) -> pa.Array:
         parser = _parser(samples, alphabet, block)
-        texts = [t or "" for t in column]
-        pred, score, bits = [], [], []
+        ends = np.cumsum(np.fromiter((x.as_py() or 0 for x in pc.utf8_length(column)), np.int64, len(column)))
+        pred, score, bits = [], [np.zeros(0)], [np.zeros(0)]
         row = 0
-        while row < len(texts):
-            # Slices of whole texts of about a million characters.
-            to, held = row, 0
-            while to < len(texts) and (held < 1_000_000 or to == row):
-                held += len(texts[to])
-                to += 1
-            cost, letters = parser.costs(texts[row:to])
+        while row < len(column):
+            # Slices of whole texts of about half a million characters.
+            to = max(row + 1, int(np.searchsorted(ends, (ends[row - 1] if row else 0) + 500_000, "right")))
+            cost, letters = parser.costs([t or "" for t in column.slice(row, to - row).to_pylist()])
             if not parser.langs:
-                letters[:] = 0
+                letters = np.zeros_like(letters)
                 cost = np.zeros((to - row, 1))
-            best = cost.argmin(1)
-            low = cost.min(1)
+            best, low = cost.argmin(1), cost.min(1)
             second = np.partition(cost, 1, 1)[:, 1] if cost.shape[1] > 1 else np.maximum(low, 2 * low)
             lead = np.where((letters > 0) & (second > 0), 1 - low / np.where(second > 0, second, 1), 0.0)
             pred += [parser.langs[b] if n else UNKNOWN for b, n in zip(best, letters)]
             score.append(np.clip(lead, 0, 1))
             bits.append(np.where(letters > 0, low, 0.0))
             row = to
-        return pd.DataFrame({"lang_pred": pd.Series(pred, dtype=object), "score": np.concatenate(score) if score else [], "bits": np.concatenate(bits) if bits else []})
+        trim()
+        return pa.StructArray.from_arrays([pa.array(pred, pa.string()), pa.array(np.concatenate(score)), pa.array(np.concatenate(bits))], fields=list(result))
 
     return docs.withColumn(into, predict(F.col("text").cast("string")))

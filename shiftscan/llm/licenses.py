@@ -23,8 +23,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..ship import ship
-from .common import need
+from .common import need, prepare
 
 #: Public license notices, as (statement, words that must be there).
 TEMPLATES: dict[str, tuple[tuple[str, tuple[str, ...]], ...]] = {
@@ -134,7 +133,7 @@ def scan(docs: DataFrame, most: float = 0.2, column: str = "text", into: str = "
     ``most``: share of a statement's words that may differ. ``license`` is null where no wording was confirmed.
     """
     need(docs, column)
-    ship(docs.sparkSession)
+    prepare(docs.sparkSession)
     kind = "array<struct<start: int, end: int, license: string, reduction: double, rank: int, differences: array<string>>>"
     item = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("license", pa.string()), ("reduction", pa.float64()), ("rank", pa.int32()), ("differences", pa.list_(pa.string()))]))
 

@@ -25,9 +25,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..ship import ship
 from . import tokens
-from .common import need, stored, text_of
+from .common import need, prepare, stored, text_of, trim
 from .components import components
 
 _STEP = np.uint64(0x9E3779B97F4A7C15)
@@ -89,6 +88,7 @@ def _signer(size: int, collections: int, rows: int, seed: int):
                 small = small.view(np.int64)
                 sides = [pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * collections), pa.array(np.ascontiguousarray(x).ravel())) for x in (small[:, :collections], small[:, collections:])]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(base, n), pa.array(count.astype(np.int64)), pa.array(set_a.view(np.int64)), pa.array(set_b.view(np.int64)), *sides], schema=schema)
+        trim()
 
     return sign
 
@@ -119,6 +119,7 @@ def _verifier(size: int, percent: int):
                 good = pa.array((union > 0) & (100 * both >= percent * union))
                 yield pa.RecordBatch.from_arrays([part.column(0).filter(good), part.column(1).filter(good)], schema=schema)
                 row = to
+        trim()
 
     return check
 
@@ -166,12 +167,14 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 80, collectio
     ``percent``: least Jaccard similarity of the shingle sets, in hundredths.
     """
     need(docs, "doc_id", "text")
-    ship(docs.sparkSession)
+    spark = docs.sparkSession
+    prepare(spark)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text"))
     signed = stored(texts.mapInArrow(_signer(size, collections, rows, seed), "doc_id long, n_shingles long, set_a long, set_b long, u array<long>, v array<long>"), "signed")
     # One vertex for each distinct shingle set; equal sets have equal collections.
     classes = signed.where("n_shingles > 0 and doc_id is not null").groupBy("n_shingles", "set_a", "set_b").agg(F.min("doc_id").alias("id"), F.first("u").alias("u"), F.first("v").alias("v"))
-    classes = stored(classes, "classes")
+    # As many parts as a shuffle has: each row is about to become a hundred.
+    classes = stored(classes.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "id"), "classes")
     keys = classes.select("id", "n_shingles", F.posexplode("u").alias("i", "p"), "v").select("id", "n_shingles", "i", "p", F.posexplode("v").alias("j", "q")).select(F.xxhash64("i", "p", "j", "q").alias("key"), "id", F.col("n_shingles").alias("n"))
     leads = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last"), F.min_by("n", "id").alias("lead_n")).where("lead < last").drop("last")
     members = stored(keys.join(leads, "key").where("id <> lead"), "buckets")

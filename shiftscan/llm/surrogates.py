@@ -25,8 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..ship import ship
-from .common import need
+from .common import need, prepare
 
 KINDS = ("email", "ip", "phone", "card", "name")
 # Titles by gender, and given names by script and gender.
@@ -179,7 +178,7 @@ def _udf(key: bytes):
 def pseudonymise(docs: DataFrame, key: bytes = b"change this key", column: str = "text", into: str = "kinds") -> DataFrame:
     """``docs`` with surrogates in ``column`` and the kinds of what was replaced, in order, in array ``into``."""
     need(docs, column)
-    ship(docs.sparkSession)
+    prepare(docs.sparkSession)
     text = F.col(column).cast("string")
     got = docs.withColumn("_new", _udf(key)(F.when(text.rlike(HINT), text)))
     return got.withColumn(column, F.coalesce("_new.text", column)).withColumn(into, F.coalesce("_new.kinds", F.array().cast("array<string>"))).drop("_new")
@@ -187,7 +186,7 @@ def pseudonymise(docs: DataFrame, key: bytes = b"change this key", column: str =
 
 def found(docs: DataFrame, key: bytes = b"change this key", column: str = "text") -> DataFrame:
     """(kind, entity, surrogate) of every entity of every text."""
-    ship(docs.sparkSession)
+    prepare(docs.sparkSession)
     item = pa.list_(pa.struct([("kind", pa.string()), ("entity", pa.string()), ("surrogate", pa.string())]))
 
     @F.arrow_udf("array<struct<kind: string, entity: string, surrogate: string>>")

@@ -26,8 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..ship import ship
-from .common import need, stored
+from .common import need, prepare, stored
 from .components import components
 
 
@@ -183,7 +182,7 @@ def near_vectors(vectors: DataFrame, least: float = 0.95, overlap: int = 4, shar
     """(vec_id, n_links, component_id, kept) of every row of ``vectors`` (vec_id, embedding)."""
     need(vectors, "vec_id", "embedding")
     spark = vectors.sparkSession
-    ship(spark)
+    prepare(spark)
     vec = F.col("embedding").cast("array<double>")
     good = F.coalesce((F.size(vec) > 0) & F.forall(vec, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf"))) & F.exists(vec, lambda v: v != 0), F.lit(False))
     rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.when(good, F.transform(vec, lambda v: v + 0.0)).alias("vec"))
