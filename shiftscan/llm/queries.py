@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, langid, licenses, minhash, mixing, secrets, surrogates, urls, vectors
+from . import decontam, katz, langid, licenses, minhash, mixing, secrets, surrogates, urls, vectors
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -91,6 +91,12 @@ def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op8_katz_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
+    train = F.coalesce(_remainder(7) != 2, F.lit(False))
+    held_out = F.coalesce(_remainder(7) == 2, F.lit(False))
+    return katz.score(_table(spark, sf_dir, "documents").select("doc_id", "text"), train).withColumn("held_out", held_out)
+
+
 def op9_surrogate_generation(spark: SparkSession, sf_dir: str) -> DataFrame:
     got = surrogates.pseudonymise(_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
