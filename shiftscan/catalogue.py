@@ -2,15 +2,18 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from .functions import codec
-from .operators import kernel, memo, relops, release, routing, summaries, windows
+from .functions import codec, udfs
+from .operators import memo, relops, release, routing, summaries, windows
 from .plans import chain, cost
-from .sources import params
+from .sources import params, streams
 from .sources.feeds import SERIES, feed, table
+from .streaming import chain as stream
 
 RUNS: dict = {}
 SQL: dict[str, str] = {}
@@ -323,4 +326,63 @@ for _kind, _op in (("intersect", "INTERSECT"), ("except", "EXCEPT"), ("except_al
     query(f"anomaly_setops_{_kind}", f"WITH RECURSIVE {sql.windows('ev_ten', 'A')}{sql.clusters()}{sql.scores()} SELECT machine_id, sensor_id FROM scored WHERE p < 0.02 {_op} SELECT machine_id, sensor_id FROM scored WHERE p < 0.002")(
         lambda s, d, k=_kind: relops.setops(_scored(s, d, "ev_ten").where("p < 0.02").select(*KEY), _scored(s, d, "ev_ten").where("p < 0.002").select(*KEY), k)
     )
-assert kernel.RULES
+
+# SQL functions.
+query("udf_labels_sql", sql.chain("ev_ten", "A", "SELECT machine_id, sensor_id, rn, array_to_string(labels, ',') AS labels, p FROM scored"))(lambda s, d: _by_sql(s, d))
+
+
+def _by_sql(s, d):
+    udfs.register(s)
+    _wins(s, d, "ev_ten", "A").createOrReplaceTempView("count_windows")
+    return s.sql("SELECT machine_id, sensor_id, rn, array_join(cluster_labels(w, k), ',') AS labels, window_p(w, k, 5) AS p FROM count_windows")
+
+
+query("udaf_dispersion", f"SELECT sensor_id, count(DISTINCT v) AS distinct_values FROM ({sql.FEEDS['ev_ten']}) GROUP BY 1")(lambda s, d: feed(s, d, "ev_ten").groupBy("sensor_id").agg(udfs.functions()["dispersion"]("v").alias("distinct_values")))
+
+
+@query("udtf_trace")
+def _(s, d):
+    udfs.register(s)
+    _wins(s, d, "ev_ten", "A").where("rn = 10").createOrReplaceTempView("first_windows")
+    return s.sql("SELECT machine_id, sensor_id, t.* FROM first_windows, LATERAL window_trace(w, k) t")
+
+
+# Streams run to their end; the batch is the oracle.
+def _stream(s, d, twice: bool = False):
+    """The ten-machine feed as a stream of its table's files."""
+    raw = table(s, d, "events")
+    got = s.readStream.schema(raw.schema).parquet(f"{d}/events.parquet*").withColumn("ts", F.col("ts").cast("timestamp"))
+    if twice:
+        got = got.withColumn("_", F.explode(F.array(F.lit(1), F.lit(2)))).drop("_")
+    return got.select((F.col("user_id") % 10).alias("machine_id"), F.col("event_type").alias("sensor_id"), "ts", F.col("event_id").alias("tick"), F.floor(F.col("value") / 20).cast("long").alias("v"))
+
+
+def _ended(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
+    return streams.drained(df, f"{name}_{uuid.uuid4().hex[:8]}", mode)
+
+
+_SPANS = "SELECT sensor_id, {start} AS start, {end} AS \"end\", count(*) AS n FROM (" + sql.FEEDS["ev_ten"] + ") {more} GROUP BY 1, 2, 3"
+query("stream_tumbling", _SPANS.format(start="date_trunc('day', ts)", end="date_trunc('day', ts) + INTERVAL 1 DAY", more=""))(lambda s, d: _naive(_ended(stream.tumbling(_stream(s, d)), "tumbling", "complete")))
+query("stream_sliding", _SPANS.format(start="date_trunc('day', ts) - x * INTERVAL 1 DAY", end="date_trunc('day', ts) + (2 - x) * INTERVAL 1 DAY", more=", LATERAL (SELECT unnest([0, 1]) AS x)"))(
+    lambda s, d: _naive(_ended(stream.sliding(_stream(s, d)), "sliding", "complete"))
+)
+query(
+    "stream_session",
+    f"""SELECT sensor_id, min(ts) AS start, max(ts) + INTERVAL 1 HOUR AS "end", count(*) AS n FROM (
+  SELECT *, sum(fresh) OVER (PARTITION BY sensor_id ORDER BY ts, tick) AS g FROM (
+    SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY sensor_id ORDER BY ts, tick) + INTERVAL 1 HOUR THEN 0 ELSE 1 END AS fresh FROM ({sql.FEEDS['ev_ten']}))) GROUP BY sensor_id, g""",
+)(lambda s, d: _naive(_ended(stream.session(_stream(s, d)), "session", "complete")))
+query("stream_dedup", f"SELECT sensor_id, count(*) AS n FROM ({sql.FEEDS['ev_ten']}) GROUP BY 1")(
+    lambda s, d: _ended(stream.dedup(_stream(s, d, twice=True), ["tick"]), "dedup").groupBy("sensor_id").agg(F.count(F.lit(1)).alias("n"))
+)
+
+
+def _naive(df: DataFrame) -> DataFrame:
+    return df.withColumns({"start": F.col("start").cast("timestamp_ntz"), "end": F.col("end").cast("timestamp_ntz")})
+
+
+@query("stream_anomalies", sql.chain("ev_ten", "A", "SELECT machine_id, sensor_id, rn, p, rule FROM scored WHERE ts <= (SELECT max(ts) - INTERVAL 1 HOUR FROM feed) AND p < threshold"))
+def _(s, d):
+    """What a stream has released at its end: windows whose newest value the watermark has passed."""
+    got = stream.detect(_stream(s, d), params.load(s, "A"))
+    return _ended(got, "detected").where("p < 0.005").select(*KEY, "rn", "p", "rule")
