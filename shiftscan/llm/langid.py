@@ -65,7 +65,9 @@ def automaton(sample: np.ndarray, symbols: int) -> np.ndarray:
                     at = link[at]
                 link[to] = link[new] = copy
         last = new
-    root = np.zeros(symbols, np.int32)
+    dead = len(step)  # after a symbol that the sample lacks; every parse begins there
+    step.append({})
+    root = np.full(symbols, dead, np.int32)
     for c, to in step[0].items():
         root[c] = to
     table = np.tile(2 * root + 1, (len(step), 1))
@@ -99,7 +101,7 @@ class Parser:
             coded, _ = self.coded([text])
             table = automaton(coded[coded != 1], self.size)
             tables.append(table + 2 * at)
-            base.append(at)
+            base.append(at + len(table) - 1)
             bits.append(log2(max(2, len(coded))))
             at += len(table)
         self.table = np.concatenate(tables).ravel() if tables else np.zeros(0, np.int32)
@@ -131,7 +133,7 @@ class Parser:
         order = np.argsort(-size, kind="stable")
         start, size, owner = start[order], size[order], owner[order]
         state = np.repeat(self.base[:, None], len(start), 1)
-        phrases = np.ones((len(self.langs), len(start)), np.int32)
+        phrases = np.zeros((len(self.langs), len(start)), np.int32)
         live = np.searchsorted(-size, -np.arange(int(size[0]) if len(size) else 0), "left")
         for t, k in enumerate(live):
             # One step of every language and piece that is that long.

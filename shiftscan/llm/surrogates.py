@@ -189,9 +189,15 @@ def found(docs: DataFrame, key: bytes = b"change this key", column: str = "text"
     prepare(docs.sparkSession)
     item = pa.list_(pa.struct([("kind", pa.string()), ("entity", pa.string()), ("surrogate", pa.string())]))
 
+    def one(kind: str, entity: str) -> dict:
+        new = surrogate(kind, entity, key)
+        if kind == "email":
+            entity, new = entity.lower(), new.lower()
+        return {"kind": kind, "entity": entity, "surrogate": new}
+
     @F.arrow_udf("array<struct<kind: string, entity: string, surrogate: string>>")
     def listed(texts: pa.Array) -> pa.Array:
-        return pa.array([[{"kind": k, "entity": e.lower() if k == "email" else e, "surrogate": (s := surrogate(k, e, key)).lower() if k == "email" else s} for *_, k, e in entities(t or "")] for t in texts.to_pylist()], item)
+        return pa.array([[one(k, e) for *_, k, e in entities(t or "")] for t in texts.to_pylist()], item)
 
     text: Column = F.col(column).cast("string")
     return docs.where(text.rlike(HINT)).select(F.explode(listed(text)).alias("x")).select("x.*")
