@@ -18,7 +18,6 @@ from .streaming import chain as stream
 RUNS: dict = {}
 SQL: dict[str, str] = {}
 KEY = list(SERIES)
-WITH_W = (("ev_single", "A"), ("ev_ten", "A"))
 
 
 def query(name: str, oracle: str | None = None):
@@ -104,7 +103,6 @@ query("window_total", f"SELECT CAST(sum(greatest(n - 9, 0)) AS BIGINT) AS window
 query("window_pairs_join", f"SELECT machine_id, sensor_id, row_number() OVER x AS rn, v, coalesce(lag(v) OVER x, -1) AS previous FROM ({sql.FEEDS['ev_ten']}) WINDOW x AS (PARTITION BY machine_id, sensor_id ORDER BY ts, tick)")(
     lambda s, d: windows.pairs_by_join(feed(s, d, "ev_ten")).withColumn("previous", F.coalesce("previous", F.lit(-1)))
 )
-_HALO = "TIMESTAMP '2024-01-03'"
 query("seed_values", sql.flags("ev_ten", "A", "SELECT machine_id, sensor_id, rn, array_to_string(values[1:k], ',') AS seeds FROM seeded"))(
     lambda s, d: _wins(s, d, "ev_ten", "A").select(*KEY, "rn", _text(F.slice(F.array_distinct("w"), F.lit(1), F.col("k"))).alias("seeds"))
 )
