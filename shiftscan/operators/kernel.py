@@ -185,21 +185,37 @@ def probabilities(labels: np.ndarray, o: Options) -> tuple[np.ndarray, np.ndarra
     return num, den, 1 + (tail[:, 1:] != tail[:, :-1]).sum(1) if n else np.zeros(m, int)
 
 
-def scan(v: np.ndarray, k: int, skip: int, o: Options) -> dict[str, np.ndarray]:
-    """All windows of ``v`` but the first ``skip``, which are there for comparison only."""
+def scan(v: np.ndarray, k: int, skip: int | np.ndarray, o: Options, owner: np.ndarray | None = None) -> dict[str, np.ndarray]:
+    """All windows of ``v`` but those there for comparison only: the first ``skip``, or those it marks.
+
+    ``owner`` numbers the series that follow one another in ``v``; no window spans two.
+    ``at`` of the result is each window's first place.
+    """
     win, distinct, seeds, how_many = shape(v, k, o.w)
+    m = len(win)
     rotated = rotations(win, seeds)
+    keep = np.ones(m, bool)
+    if owner is not None:
+        keep = owner[:m] == owner[o.w - 1 :]
+        rotated[1:] &= keep[1:] & keep[:-1] & (owner[1:m] == owner[: m - 1])
+    if isinstance(skip, np.ndarray):
+        keep = keep & ~skip
+    else:
+        keep[:skip] = False
+    at = np.flatnonzero(keep)
+    win, distinct, seeds, how_many, rotated = win[at], distinct[at], seeds[at], how_many[at], rotated[at]
+    m = len(at)
     single, few = (distinct == 1) | (k == 1), (distinct <= k) if o.few_inclusive else (distinct < k)
     rule = np.where(rotated, 0, np.where(single, 1, np.where(few, 2, 3)))
-    m = len(win)
+    # Labels are reused from the window before, which must be here too.
     reused = rotated & o.rotation
-    reused[: skip + 1] = False
+    reused[:1] = False
+    reused[1:] &= at[1:] == at[:-1] + 1
     labels, iterations = np.zeros(win.shape, np.int32), np.zeros(m, np.int32)
     done = reused | (single & o.single)
     small = few & ~done & o.few
     labels[small] = ranks(win[small])
     todo = np.flatnonzero(~done & ~small)
-    todo = todo[todo >= skip]
     if len(todo):
         labels[todo], iterations[todo] = clusters(win[todo], seeds[todo], how_many[todo], o)
     if reused.any():
@@ -208,6 +224,4 @@ def scan(v: np.ndarray, k: int, skip: int, o: Options) -> dict[str, np.ndarray]:
         shift = ((place - anchor) % o.w)[:, None]
         labels = np.take_along_axis(labels[anchor], (np.arange(o.w)[None, :] + shift) % o.w, 1)
     num, den, divisions = probabilities(labels, o)
-    keep = slice(skip, None)
-    out = {"rule": rule, "rotated": rotated, "single": single, "few": few, "distinct": distinct, "iterations": iterations, "clustered": iterations > 0, "num": num, "den": den, "divisions": divisions, "labels": labels}
-    return {name: x[keep] for name, x in out.items()}
+    return {"at": at, "rule": rule, "rotated": rotated, "single": single, "few": few, "distinct": distinct, "iterations": iterations, "num": num, "den": den, "divisions": divisions, "labels": labels}

@@ -7,7 +7,7 @@ reuse of labels restarts at a chunk's head, never a result.
 
 from __future__ import annotations
 
-from functools import partial
+from decimal import Decimal
 
 import numpy as np
 import pyarrow as pa
@@ -23,37 +23,69 @@ from ..sources.params import attach
 SCORED = "machine_id long, sensor_id string, rn long, ts timestamp_ntz, tick long, first_ts timestamp_ntz, k int, threshold double, rule string, rotated boolean, single boolean, few boolean, n_distinct int, iterations int, num decimal(38,0), den decimal(38,0), p double, divisions int, labels array<int>"
 
 
-def _block(table: pa.Table, o: Options, size: int, with_labels: bool) -> pa.Table:
-    table = table.sort_by("rn")
-    rn = table.column("rn").to_numpy()
-    first = int(table.column("chunk")[0].as_py()) * size + 1  # the chunk's own first row number
-    v = table.column("v").to_numpy()
-    empty = len(v) < o.w or rn[-1] < max(first, o.w)
-    k, threshold = int(table.column("k")[0].as_py()), float(table.column("threshold")[0].as_py())
-    # Windows end at rows w-1 and on; those that end before the chunk are halo.
-    skip = 0 if empty else max(0, int(np.searchsorted(rn[o.w - 1 :], first)))
-    if not empty and int(np.abs(v).max()) >= (1 << 61) // (o.w * o.w):
-        raise OverflowError("a value is too large for exact sums over a window")
-    got = scan(v, k, skip, o) if not empty else None
-    m = 0 if empty else len(got["rule"])
-    at = np.arange(len(v) - m, len(v))
-    tail = at - min(o.n, o.w - 1)
-    if empty:
-        got = {n: np.zeros(0, np.int64) for n in ("rule", "distinct", "iterations", "num", "den", "divisions")} | {n: np.zeros(0, bool) for n in ("rotated", "single", "few")} | {"labels": np.zeros((0, o.w), np.int32)}
-    own = table.take(pa.array(at))
-    labels = pa.array(got["labels"].tolist(), pa.list_(pa.int32())) if with_labels else pa.nulls(m, pa.list_(pa.int32()))
-    whole = pa.decimal128(38, 0)
-    num, den = ([int(x) for x in got[n]] for n in ("num", "den"))
-    return pa.Table.from_arrays(
-        [
-            own.column("machine_id"), own.column("sensor_id"), own.column("rn"), own.column("ts"), own.column("tick"), table.column("ts").take(pa.array(tail)),
-            pa.array(np.full(m, k, np.int32)), pa.array(np.full(m, threshold)), pa.array(np.array(RULES, dtype=object)[got["rule"].astype(int)], pa.string()),
-            *(pa.array(got[n].astype(bool)) for n in ("rotated", "single", "few")), *(pa.array(got[n].astype(np.int32)) for n in ("distinct", "iterations")),
-            pa.array(num, pa.int64()).cast(whole) if all(x < 1 << 62 for x in den) else pa.array(num, whole), pa.array(den, pa.int64()).cast(whole) if all(x < 1 << 62 for x in den) else pa.array(den, whole),
-            pa.array([a / b for a, b in zip(num, den)], pa.float64()), pa.array(got["divisions"].astype(np.int32)), labels,
-        ],
-        names=["machine_id", "sensor_id", "rn", "ts", "tick", "first_ts", "k", "threshold", "rule", "rotated", "single", "few", "n_distinct", "iterations", "num", "den", "p", "divisions", "labels"],
-    )
+HELD_ROWS = 100_000  # rows that a task gathers before it scans them
+NAMES = [x.split()[0] for x in SCORED.split(", ")]
+
+
+def _scanned(table: pa.Table, o: Options, size: int, with_labels: bool) -> list[pa.RecordBatch]:
+    """Scored windows of whole blocks in order; series with as many clusters are scanned together."""
+    rn, chunk, k_of, v_of = (table.column(c).to_numpy() for c in ("rn", "chunk", "k", "v"))
+    owner = _owner(table)
+    out = []
+    for k in np.unique(k_of):
+        rows = np.flatnonzero(k_of == k)
+        v, m = v_of[rows], len(rows) - o.w + 1
+        if m < 1:
+            continue
+        if int(np.abs(v).max()) >= (1 << 61) // (o.w * o.w):
+            raise OverflowError("a value is too large for exact sums over a window")
+        last = rows[o.w - 1 :]
+        # Windows that end before their chunk begins are halo.
+        got = scan(v, int(k), rn[last] <= chunk[last] * size, o, owner[rows])
+        count = len(got["rule"])
+        if not count:
+            continue
+        own = table.take(pa.array(rows[got["at"] + o.w - 1]))
+        tail = table.column("ts").take(pa.array(rows[got["at"] + o.w - 1 - min(o.n, o.w - 1)]))
+        num, den = ([int(x) for x in got[n]] for n in ("num", "den"))
+        whole = pa.decimal128(38, 0)
+        small = got["den"].dtype != object
+        exact = [pa.array(x, pa.int64()).cast(whole) if small else pa.array([Decimal(y) for y in x], whole) for x in (num, den)]
+        labels = pa.ListArray.from_arrays(pa.array(np.arange(count + 1, dtype=np.int32) * o.w), pa.array(got["labels"].astype(np.int32).ravel())) if with_labels else pa.nulls(count, pa.list_(pa.int32()))
+        columns = [own.column(c) for c in ("machine_id", "sensor_id", "rn", "ts", "tick")] + [tail, own.column("k").cast(pa.int32()), own.column("threshold")]
+        columns.append(pa.array(np.array(RULES, dtype=object)[got["rule"]], pa.string()))
+        columns += [pa.array(got[n].astype(bool)) for n in ("rotated", "single", "few")] + [pa.array(got[n].astype(np.int32)) for n in ("distinct", "iterations")]
+        columns += [*exact, pa.array([a / b for a, b in zip(num, den)], pa.float64()), pa.array(got["divisions"].astype(np.int32)), labels]
+        out += pa.Table.from_arrays(columns, names=NAMES).combine_chunks().to_batches()
+    return out
+
+
+def _owner(table: pa.Table) -> np.ndarray:
+    """Numbers the blocks of one series and chunk in a sorted table."""
+    sensor = table.column("sensor_id").combine_chunks().dictionary_encode().indices.to_numpy()
+    new = np.zeros(len(sensor), bool)
+    for x in (table.column("machine_id").to_numpy(), sensor, table.column("chunk").to_numpy()):
+        new[1:] |= x[1:] != x[:-1]
+    return np.cumsum(new)
+
+
+def _kernel(o: Options, size: int, with_labels: bool):
+    def run(batches):
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            held.append(batch)
+            if sum(map(len, held)) < HELD_ROWS:
+                continue
+            table = pa.Table.from_batches(held)
+            owner = _owner(table)
+            cut = int(np.searchsorted(owner, owner[-1]))  # the last block may go on
+            if cut:
+                yield from _scanned(table.slice(0, cut), o, size, with_labels)
+                held = table.slice(cut).to_batches()
+        if held:
+            yield from _scanned(pa.Table.from_batches(held), o, size, with_labels)
+
+    return run
 
 
 def score(readings: DataFrame, params: DataFrame, w: int = 10, n: int = 5, max_iter: int = 50, chunk: int = 4096, labels: bool = False, bucket: str = "month", **switches: bool) -> DataFrame:
@@ -62,12 +94,8 @@ def score(readings: DataFrame, params: DataFrame, w: int = 10, n: int = 5, max_i
     o = Options(w=w, n=n, max_iter=max_iter, **switches)
     size = max(chunk, w)
     rows = windows.chunked(attach(windows.numbered(readings, bucket), params), w, size).select(*SERIES, "rn", "ts", "tick", "v", "k", "threshold", "chunk")
-    work = partial(_block, o=o, size=size, with_labels=labels)
-
-    def block(table: pa.Table) -> pa.Table:
-        return work(table)
-
-    return rows.groupBy(*SERIES, "chunk").applyInArrow(block, SCORED)
+    placed = rows.repartition(*SERIES, "chunk").sortWithinPartitions(*SERIES, "chunk", "rn")
+    return placed.mapInArrow(_kernel(o, size, labels), SCORED)
 
 
 def flag(scored: DataFrame) -> DataFrame:
