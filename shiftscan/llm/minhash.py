@@ -144,7 +144,7 @@ def _rare_pairs(docs: DataFrame, size: int, percent: int) -> DataFrame:
     comes last and brings nothing together. ``docs``: (id, n, c, text).
     """
     rows = stored(docs.select("id", "n", "c", "text").mapInArrow(_shingles_of(size), "id long, n long, c long, h long"), "shingles")
-    often = rows.groupBy("h").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    often = stored(rows.groupBy("h").agg(F.count(F.lit(1)).alias("df")).where("df > 1"), "often")
     ranked = rows.join(often, "h", "left").select("id", "n", "c", F.struct(F.coalesce("df", F.lit(1)).alias("df"), "h").alias("s"))
     need_first = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
     ordered = ranked.groupBy("id", "n", "c").agg(F.array_sort(F.collect_list("s")).alias("s"))
@@ -176,7 +176,8 @@ def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 80, collectio
     # As many parts as a shuffle has: each row is about to become a hundred.
     classes = stored(classes.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "id"), "classes")
     keys = classes.select("id", "n_shingles", F.posexplode("u").alias("i", "p"), "v").select("id", "n_shingles", "i", "p", F.posexplode("v").alias("j", "q")).select(F.xxhash64("i", "p", "j", "q").alias("key"), "id", F.col("n_shingles").alias("n"))
-    leads = keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last"), F.min_by("n", "id").alias("lead_n")).where("lead < last").drop("last")
+    # Written, so that the join that follows deals both sides anew and adaptive execution can split a hot key.
+    leads = stored(keys.groupBy("key").agg(F.min("id").alias("lead"), F.max("id").alias("last"), F.min_by("n", "id").alias("lead_n")).where("lead < last").drop("last"), "leads")
     members = stored(keys.join(leads, "key").where("id <> lead"), "buckets")
 
     def alike(n, m):
