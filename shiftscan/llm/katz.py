@@ -22,8 +22,6 @@ table gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
-import gc
-
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
@@ -31,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import tokens
-from .common import need, prepare, stored, text_of, trim
+from .common import forget, need, prepare, stored, text_of, trim
 
 START, END = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
 CUT = 5  # counts up to this have Good-Turing discounts
@@ -208,7 +206,7 @@ def _reducer(total: int, uni: list[float], unknown: float, hot: dict[int, int]):
     return reduce
 
 
-def score(docs: DataFrame, train: Column, bucket_tokens: int = 3_000_000) -> DataFrame:
+def score(docs: DataFrame, train: Column, bucket_tokens: int = 4_000_000) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of every row of ``docs`` (doc_id, text).
 
     ``train``: which rows are learned from. ``base_score`` is add-one smoothing of the same
@@ -226,15 +224,14 @@ def score(docs: DataFrame, train: Column, bucket_tokens: int = 3_000_000) -> Dat
     uni = discounts(often)
     mass = unigrams.agg(F.sum(F.when(F.col("c") > CUT, F.col("c") - 1 / (F.col("c") + 1)).otherwise(F.get(F.array(*map(F.lit, uni)), F.col("c").cast("int"))))).first()[0] or 0.0
     unknown = 1 - mass / total if total else 1.0
-    buckets = max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-total // bucket_tokens), 1)
+    cores = spark.sparkContext.defaultParallelism
+    buckets = max(-(-total // bucket_tokens), min(2 * cores, -(-total // 250_000)), 1)
     hot = {r.w: r.c for r in unigrams.where(F.col("c") > max(1000, total // (4 * buckets))).collect()}  # at most 4 a bucket
     packed = rows.mapInArrow(_packer(buckets, list(hot)), "bucket int, chunk long, w array<long>, pairs array<int>, v array<long>, times array<int>, place array<short>, ids array<long>, held array<boolean>, nth array<int>")
     parts = packed.repartition(buckets, "bucket").groupBy("bucket").applyInArrow(_reducer(total, uni, unknown, hot), OUT)
     parts = stored(parts, "parts")
-    # The large shuffle is no longer needed; Spark deletes its files once nothing refers to them.
     del packed
-    gc.collect()
-    spark._jvm.System.gc()
+    forget(spark)
     n = {r.v: int(r.n) for r in parts.where("kind = 3").groupBy("v").agg(F.sum("n").alias("n")).collect()}
     pairs = discounts(n)
     small = sum((F.col(f"m{r}") * pairs[r] for r in range(2, CUT + 1)), F.col("m1") * pairs[1])
