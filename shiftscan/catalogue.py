@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from . import oracles as sql
 from .functions import codec, udfs
 from .operators import memo, relops, release, routing, summaries, windows
-from .plans import chain, cost
+from .plans import chain, cost, staged
 from .sources import params, streams
 from .sources.feeds import SERIES, feed, table
 from .streaming import chain as stream
@@ -213,6 +213,12 @@ def _(s, d):
     return both.agg(F.count(F.lit(1)).alias("windows"), F.count_if(~(F.col("num").eqNullSafe(F.col("n2")) & F.col("den").eqNullSafe(F.col("d2")))).alias("differing"))
 
 
+query("chain_staged", sql.chain("ev_ten", "A", "SELECT machine_id, sensor_id, rn, array_to_string(labels, ',') AS labels, p FROM scored"))(
+    lambda s, d: staged.score(feed(s, d, "ev_ten"), params.load(s, "A")).select(*KEY, "rn", _text().alias("labels"), "p")
+)
+for _lazy in (False, True):
+    query(f"ingest_{'lazy' if _lazy else 'eager'}", FEED_SQL["li_sensors"])(lambda s, d, z=_lazy: staged.ingest(codec.render(feed(s, d, "li_sensors")), z))
+
 # Cost measures.
 query(
     "cluster_ops",
