@@ -206,7 +206,7 @@ def _reducer(total: int, uni: list[float], unknown: float, hot: dict[int, int]):
     return reduce
 
 
-def score(docs: DataFrame, train: Column, bucket_tokens: int = 4_000_000) -> DataFrame:
+def score(docs: DataFrame, train: Column, bucket_tokens: int = 2_500_000) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of every row of ``docs`` (doc_id, text).
 
     ``train``: which rows are learned from. ``base_score`` is add-one smoothing of the same
