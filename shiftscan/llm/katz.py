@@ -167,7 +167,11 @@ def _reducer(total: int, uni: list[float], unknown: float, hot: dict[int, int]):
         group = np.empty(len(order), np.int32)
         group[order] = np.cumsum(fresh) - 1
         gw, gv = sw[fresh], sv[fresh]
+        del w, v, sw, sv, order, fresh
         each = np.repeat(group, flat["times"])  # of every occurrence, its pair
+        del group
+        for name in ("w", "pairs", "v", "times", "place"):
+            del flat[name]
         train = ~held[text]
         c = np.bincount(each[train], minlength=len(gw))
         words, of = np.unique(gw, return_inverse=True)
@@ -180,18 +184,23 @@ def _reducer(total: int, uni: list[float], unknown: float, hot: dict[int, int]):
         joint = np.where(c > CUT, np.log10(np.maximum(_kept(c.astype(float)), 1e-9)), 0.0)
         unseen = np.log10(model(cw))
         own = np.where((cw > 0) & ~ends, np.log10(np.maximum(cw, 1)), 0.0)
-        x = np.where(train, (joint - own)[each], np.where(c[each] > 0, joint[each], unseen[each]))
-        n_text = len(held)
-        per = lambda weights=None, where=slice(None): np.bincount(text[where], None if weights is None else weights[where], n_text)
-        counts = {f"m{r}": per(None, c[each] == r) for r in range(1, CUT + 1)}
-        known = per(None, cw[each] > 0)
-        a = rows(n_text, kind=np.zeros(n_text, np.int32), id=chunk * (1 << 15) + flat["nth"], doc_id=ids, held=pa.array(held), x=per(x), y=per(np.log10(cw + 1.0)[each]), n=per(), v=known, **counts)
         ask = np.flatnonzero(~train)
+        x = (joint - own)[each]
+        x[ask] = np.where(c > 0, joint, unseen)[each[ask]]
+        n_text = len(held)
+        level = np.minimum(c, CUT + 1).astype(np.uint8)[each]
+        counts = {f"m{r}": np.bincount(text[level == r], minlength=n_text) for r in range(1, CUT + 1)}
+        known = np.bincount(text[(cw > 0)[each]], minlength=n_text)
+        sums = np.bincount(text, x, n_text)
+        del x, level
+        base = np.bincount(text, np.log10(cw + 1.0)[each], n_text)
+        key = chunk * (1 << 15) + flat["nth"]
+        a = rows(n_text, kind=np.zeros(n_text, np.int32), id=key, doc_id=ids, held=pa.array(held), x=sums, y=base, n=np.bincount(text, minlength=n_text), v=known, **counts)
         pair = text[ask].astype(np.int64) * len(gw) + each[ask]
         pair, times = np.unique(pair, return_counts=True)
         who, what = pair // len(gw), pair % len(gw)
         seen = c[what] > 0
-        b = rows(len(pair), kind=np.ones(len(pair), np.int32), id=(chunk * (1 << 15) + flat["nth"])[who], v=gv[what], n=np.where(seen, times, 0), m1=np.where(seen, 0, times))
+        b = rows(len(pair), kind=np.ones(len(pair), np.int32), id=key[who], v=gv[what], n=np.where(seen, times, 0), m1=np.where(seen, 0, times))
         have = c > 0
         contexts, at = np.unique(gv[have], return_inverse=True)
         hc, m = c[have], len(contexts)
@@ -200,13 +209,15 @@ def _reducer(total: int, uni: list[float], unknown: float, hot: dict[int, int]):
         ctx = rows(m, kind=np.full(m, 2, np.int32), v=contexts, x=np.bincount(at, model(cw[have]), m), y=np.bincount(at[big], _kept(hc[big].astype(float)), m), n=np.bincount(at, hc, m).astype(np.int64), **sums)
         r, often = np.unique(np.minimum(hc, CUT + 2), return_counts=True)
         d = rows(len(r), kind=np.full(len(r), 3, np.int32), v=r, n=often)
+        del each, text
         trim()
-        return pa.concat_tables([a, b, ctx, d])
+        # Small batches, so that neither side holds a bucket's whole result twice.
+        return pa.Table.from_batches([x for t in (a, b, ctx, d) for x in t.to_batches(max_chunksize=20_000)])
 
     return reduce
 
 
-def score(docs: DataFrame, train: Column, bucket_tokens: int = 2_500_000) -> DataFrame:
+def score(docs: DataFrame, train: Column, bucket_tokens: int = 2_200_000) -> DataFrame:
     """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) of every row of ``docs`` (doc_id, text).
 
     ``train``: which rows are learned from. ``base_score`` is add-one smoothing of the same
