@@ -8,15 +8,20 @@ its home shard every vector is then searched for: greedily from the shard's medo
 with a beam, and from what lies within range the search keeps expanding until nothing
 new is in range. Cosines of what it meets are verified in double precision.
 
-Shards above ``most`` vectors are split again by centroids of their own, so no task
-holds more; one row per vector and shard leaves a search (a count and a local root),
-never pairs. The fit sample (``sample`` vectors) is the only thing that reaches the
-driver. ``recall`` audits the result against brute force.
+Shards above ``most`` vectors are split again by centroids of their own, as long as
+those lie apart: the centroids within a group whose pairs all reach ``least`` are so
+close that only one of them stays, so no such group is cut. A shard that does not come
+apart is a tight group, where a graph of bounded degree would be no help: each of its
+home vectors is compared with the whole shard, pair of blocks by pair of blocks, at a
+cost that grows with the group's square. One row per vector and shard or pair of blocks
+leaves a search (a count and a local root), never pairs. The fit sample (``sample``
+vectors) is the only thing that reaches the driver. ``recall`` audits the result
+against brute force.
 
 Defined results: a vector that is null, empty, zero, or holds a null or non-finite
-component links with nothing; vectors of another length than most link among
-themselves only by chance of equality; repeated rows of one vec_id count once; a row
-without vec_id is returned unlinked; an empty table gives an empty result.
+component links with nothing; vectors link with those of their own length; repeated
+rows of one vec_id count once; a row without vec_id is returned unlinked; an empty
+table gives an empty result.
 """
 
 from __future__ import annotations
@@ -30,6 +35,9 @@ from .common import need, prepare, stored
 from .components import components
 
 
+_BLOCK_ROWS = 32_768  # of a tight group, in one side of a task
+
+
 def _matrix(column) -> np.ndarray:
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
@@ -43,8 +51,8 @@ def _unit(x: np.ndarray) -> np.ndarray:
     return x / np.sqrt((x * x).sum(1, keepdims=True)) if len(x) else x
 
 
-def _centroids(x: np.ndarray, k: int, seed: int, apart: float = 2.0) -> np.ndarray:
-    """k-means centres; of those within cosine ``apart`` of one another only one stays."""
+def _centroids(x: np.ndarray, k: int, seed: int) -> np.ndarray:
+    """k-means centres."""
     rng = np.random.default_rng(seed)
     c = x[rng.permutation(len(x))[:k]]
     for _ in range(3):
@@ -53,6 +61,11 @@ def _centroids(x: np.ndarray, k: int, seed: int, apart: float = 2.0) -> np.ndarr
         np.add.at(sums, own, x)
         size = np.sqrt((sums * sums).sum(1, keepdims=True))
         c = np.where(size > 0, sums / np.where(size > 0, size, 1), c)
+    return c
+
+
+def _spread(c: np.ndarray, apart: float) -> np.ndarray:
+    """Of centres within cosine ``apart`` of one another only one stays."""
     close = np.triu(c @ c.T >= apart, 1)
     stay: list[int] = []
     for i in range(len(c)):
@@ -66,7 +79,6 @@ def _assigner(centroids: dict[int, tuple[int, np.ndarray]], overlap: int):
 
     def assign(batches):
         for batch in batches:
-            x = _unit(_matrix(batch.column(2)))
             shard = batch.column(3).to_numpy(zero_copy_only=False)
             home = np.array(batch.column(4).to_pylist(), bool)
             take, new, first = [], [], []
@@ -77,7 +89,8 @@ def _assigner(centroids: dict[int, tuple[int, np.ndarray]], overlap: int):
                     continue
                 base, c = centroids[s]
                 k = min(overlap, len(c))
-                near = np.argsort(-(x[rows] @ c.T), axis=1, kind="stable")[:, :k]
+                x = _unit(_matrix(batch.column(2).take(pa.array(rows))))
+                near = np.argsort(-(x @ c.T), axis=1, kind="stable")[:, :k]
                 take.append(np.repeat(rows, k)), new.append((near + base).ravel())
                 first.append((np.arange(k)[None, :] == 0).repeat(len(rows), 0).ravel() & np.repeat(home[rows], k))
             if take:
@@ -189,17 +202,10 @@ def near_vectors(vectors: DataFrame, least: float = 0.95, overlap: int = 4, shar
     # In parts, not as an array: the hash of a class, and then the class itself.
     usable = rows.where("vec is not null and vec_id is not null").distinct()
     classes = stored(usable.groupBy("vec").agg(F.min("vec_id").alias("id"), F.count(F.lit(1)).alias("copies")).select("id", "copies", "vec", F.size("vec").alias("width")), "classes")
-    out = []
-    for width in [r.width for r in classes.select("width").distinct().orderBy("width").limit(64).collect()]:
-        same = classes.where(F.col("width") == width).select("id", "copies", "vec", F.lit(0).cast("long").alias("shard"), F.lit(True).alias("home"))
-        out.append(_of_width(same, least, overlap, shard_size, most, sample, degree, candidates, alpha, beam, seed))
-    if not out:
-        return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    found = out[0]
-    for more in out[1:]:
-        found = found.unionByName(more)
-    found = stored(found, "found")
-    counts = found.groupBy("id").agg(F.max("links").alias("links"))
+    # A shard for each length first: only vectors of one length ever meet.
+    whole = classes.select("id", "copies", "vec", (-F.col("width").cast("long")).alias("shard"), F.lit(True).alias("home"))
+    found = stored(_searched(whole, least, overlap, shard_size, most, sample, degree, candidates, alpha, beam, seed), "found")
+    counts = found.groupBy("id").agg(F.sum("links").alias("links"))
     joined = components(found.select(F.col("id").alias("a"), F.col("root").alias("b")).distinct())
     of_class = classes.join(counts, "id", "left").join(joined, "id", "left").select("vec", F.col("copies"), F.coalesce("links", F.lit(0)).alias("links"), F.coalesce("component", "id").alias("component"))
     placed = rows.join(of_class, "vec", "left")
@@ -208,24 +214,92 @@ def near_vectors(vectors: DataFrame, least: float = 0.95, overlap: int = 4, shar
     return placed.select("vec_id", F.when(linked, F.col("links") + F.col("copies") - 1).otherwise(F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(True)).alias("kept"))
 
 
-def _of_width(rows: DataFrame, least, overlap, shard_size, most, sample, degree, candidates, alpha, beam, seed) -> DataFrame:
-    """(id, links, root) of class vectors of one length; links count the copies of other classes."""
-    spark = rows.sparkSession
+def _searched(rows: DataFrame, least, overlap, shard_size, most, sample, degree, candidates, alpha, beam, seed) -> DataFrame:
+    """(id, links, root) of class vectors; links count the copies of other classes and add up by id."""
     schema = "id long, copies long, vec array<double>, shard long, home boolean"
     next_shard = 1
-    for _ in range(8):
-        large = {r.shard: r["count"] for r in rows.groupBy("shard").count().where(F.col("count") > most).collect()}
-        if not large:
-            break
+    parent: dict[int, int] = {}
+    tight: dict[int, int] = {}
+    for again in (*[True] * 8, False):
+        large = {r.shard: r["count"] for r in rows.groupBy("shard").count().where(F.col("count") > most).collect() if r.shard not in tight}
         fresh: dict[int, tuple[int, np.ndarray]] = {}
         for shard, count in large.items():
+            if not again or 2 * count > parent.get(shard, 2 * count):
+                tight[shard] = count
+                continue
             few = rows.where(F.col("shard") == shard).orderBy(F.xxhash64("id", F.lit(seed))).limit(sample).select("vec").toArrow()
             k = max(2, min(1024, sample // 2, count * overlap // shard_size))
-            # A tight group keeps one shard, and is cut only if that is too large.
-            centres = _centroids(_unit(_matrix(few.column(0))), k, seed, 0.9 if shard == 0 else 2.0)
+            every = _centroids(_unit(_matrix(few.column(0))), k, seed)
+            centres = _spread(every, min(0.9, least))
+            if len(centres) <= overlap:
+                centres = _spread(every, least)
+            if len(centres) <= overlap:
+                tight[shard] = count
+                continue
             fresh[shard] = (next_shard, centres)
+            parent.update((next_shard + i, count) for i in range(len(centres)))
             next_shard += len(centres)
+        if not fresh:
+            break
         rows = stored(rows.mapInArrow(_assigner(fresh, overlap), schema), "shards")
+    if not tight:
+        return _by_graph(rows, least, degree, candidates, alpha, beam)
+    dense = F.col("shard").isin(list(tight))
+    return _by_graph(rows.where(~dense), least, degree, candidates, alpha, beam).unionByName(_by_blocks(rows.where(dense), tight, least, most, seed))
+
+
+def _merge(top: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Roots by place once ``a`` and ``b`` are linked, all pointing at the first place of their component."""
+    while True:
+        x, y = top[a], top[b]
+        if (x == y).all():
+            return top
+        np.minimum.at(top, np.maximum(x, y), np.minimum(x, y))
+        while (top[top] != top).any():
+            top = top[top]
+
+
+def _by_blocks(rows: DataFrame, tight: dict[int, int], least: float, most: int, seed: int) -> DataFrame:
+    """(id, links, root): home vectors against all vectors of their shard, one task a pair of blocks.
+
+    A shard has up to 8 blocks of about ``most`` vectors, and more only once a block would exceed _BLOCK_ROWS.
+    """
+    blocks = {s: max(min(8, -(-n // most)), -(-n // _BLOCK_ROWS)) for s, n in tight.items()}
+    sizes = rows.sparkSession.createDataFrame([(s, m) for s, m in blocks.items()], "shard long, m int")
+    placed = rows.join(F.broadcast(sizes), "shard").withColumn("block", F.pmod(F.xxhash64("id", F.lit(seed)), F.col("m")).cast("int"))
+    other = F.explode(F.sequence(F.lit(0), F.col("m") - 1)).alias("other")
+    pairs = placed.select("shard", "block", "id", "copies", "vec", "home", other).withColumns({"i": F.least("block", "other"), "j": F.greatest("block", "other")}).drop("other")
+
+    def count(table):
+        table = table.sort_by("id")
+        ids, copies = table.column("id").to_numpy(), table.column("copies").to_numpy().astype(np.float64)
+        home, block = np.array(table.column("home").to_pylist(), bool), table.column("block").to_numpy()
+        x = _unit(_matrix(table.column("vec")))
+        i, j = table.column("i")[0].as_py(), table.column("j")[0].as_py()
+        left, right = np.flatnonzero(block == i), np.flatnonzero(block == j)
+        xr, cr = x[right], copies[right]
+        links, top = np.zeros(len(ids)), np.arange(len(ids), dtype=np.int32)
+        step = max(1, (1 << 21) // max(1, len(right)))
+        for low in range(0, len(left), step):
+            part = left[low : low + step]
+            hit = x[part] @ xr.T >= least
+            if i == j:
+                hit[np.arange(len(part)), np.arange(low, low + len(part))] = False
+            weight = hit.astype(np.float64)
+            links[part] += weight @ cr
+            if i != j:
+                links[right] += copies[part] @ weight
+            # Only links between what is still apart.
+            a, b = np.nonzero(hit & (top[part][:, None] != top[right][None, :]))
+            if len(a):
+                top = _merge(top, part[a], right[b])
+        return pa.Table.from_arrays([pa.array(ids), pa.array(links.astype(np.int64), mask=~home), pa.array(ids[top])], names=["id", "links", "root"])
+
+    return pairs.groupBy("shard", "i", "j").applyInArrow(count, "id long, links long, root long")
+
+
+def _by_graph(rows: DataFrame, least, degree, candidates, alpha, beam) -> DataFrame:
+    """(id, links, root): home vectors by a search of their shard's graph."""
 
     def build(table):
         ids = table.column("id").to_numpy()
@@ -266,17 +340,24 @@ def _of_width(rows: DataFrame, least, overlap, shard_size, most, sample, degree,
 def recall(vectors: DataFrame, found: DataFrame, least: float = 0.95, every: int = 100) -> DataFrame:
     """(n_true, n_found, recall): links of rows whose vec_id is divisible by ``every``, against all rows by brute force.
 
-    The queries are a stated set of at most the table's ``1/every``; they meet the table in blocks.
+    The queries meet the table in sets of about 20,000.
     """
-    asked = vectors.where((F.col("vec_id") % every == 0) & F.col("embedding").isNotNull()).select("vec_id", "embedding").limit(20_000).toArrow()
-    ids, q = asked.column(0).to_numpy(), _unit(_matrix(asked.column(1))) if asked.num_rows else np.zeros((0, 1))
+    every_asked = vectors.where((F.col("vec_id") % every == 0) & F.col("embedding").isNotNull()).select("vec_id", "embedding")
+    sets = max(1, -(-every_asked.count() // 20_000))
 
-    def count(batches):
-        for batch in batches:
-            if batch.num_rows and len(ids):
-                hits = (_unit(_matrix(batch.column(1))) @ q.T >= least) & (batch.column(0).to_numpy(zero_copy_only=False)[:, None] != ids[None, :])
-                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(hits.sum(0).astype(np.int64))], names=["vec_id", "n"])
+    def hits_of(asked) -> DataFrame:
+        ids, q = asked.column(0).to_numpy(), _unit(_matrix(asked.column(1))) if asked.num_rows else np.zeros((0, 1))
+
+        def count(batches):
+            for batch in batches:
+                if batch.num_rows and len(ids):
+                    hits = (_unit(_matrix(batch.column(1))) @ q.T >= least) & (batch.column(0).to_numpy(zero_copy_only=False)[:, None] != ids[None, :])
+                    yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(hits.sum(0).astype(np.int64))], names=["vec_id", "n"])
+
+        return vectors.select("vec_id", "embedding").where("embedding is not null").mapInArrow(count, "vec_id long, n long").groupBy("vec_id").agg(F.sum("n").alias("n"))
 
-    true = vectors.select("vec_id", "embedding").where("embedding is not null").mapInArrow(count, "vec_id long, n long").groupBy("vec_id").agg(F.sum("n").alias("n"))
+    true = stored(hits_of(every_asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(sets)) == 0).toArrow()), "true")
+    for k in range(1, sets):
+        true = true.unionByName(stored(hits_of(every_asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(sets)) == k).toArrow()), "true"))
     both = true.join(found.select("vec_id", "n_links"), "vec_id")
     return both.agg(F.sum("n").alias("n_true"), F.sum(F.least("n", "n_links")).alias("n_found")).select("n_true", "n_found", (F.col("n_found") / F.nullif("n_true", F.lit(0))).alias("recall"))

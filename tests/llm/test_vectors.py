@@ -40,3 +40,24 @@ def test_table_recall(spark):
     df = spark.read.parquet("/root/testdata/sf0.01/embeddings.parquet")
     row = vectors.recall(df, vectors.near_vectors(df), every=5).first()
     assert row.recall is None or row.recall >= 0.9
+
+
+def test_tight_group_above_a_shard(spark):
+    """A tight group of more vectors than a shard holds, in a table of others: every link of it counts."""
+    rng = np.random.default_rng(1)
+    base = rng.normal(size=64)
+    rows = [(k, (base + rng.normal(size=64) * 0.15).tolist()) for k in range(900)]
+    rows += [(2000 + k, rng.normal(size=64).tolist()) for k in range(900)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    x = np.array([v for _, v in rows])
+    x /= np.sqrt((x * x).sum(1, keepdims=True))
+    want = (x @ x.T >= 0.95).sum(1) - 1
+    assert want[:900].mean() > 400
+    got = vectors.near_vectors(df, most=300, shard_size=100, sample=600)
+    at = {r[0]: k for k, r in enumerate(rows)}
+    out = {r.vec_id: r for r in got.collect()}
+    assert all(out[i].n_links == want[at[i]] for i in range(900))
+    assert {out[i].component_id for i in range(900)} == {0}
+    row = vectors.recall(df, got).first()
+    print(f"recall {row.recall} of {row.n_true} links")
+    assert row.recall == 1
