@@ -3,14 +3,20 @@
 Words (punctuation dropped, case lowered) are the symbols. A window's embedding is a
 walk: step t writes the word under the cursor and a random bit of (t, word) says
 whether the cursor moves on. Windows at small edit distance write mostly the same
-sequence, so their Hamming distance is small, and sampled steps often agree. Each of
-``rounds`` walks samples a few steps as a key; a window that agrees with an item's
-key in any round is a candidate, and the words around it are verified by exact word edit distance.
+sequence, so their Hamming distance is small, and sampled steps agree. A window that
+agrees with an item on a key, a few sampled steps of a walk, is a candidate, and the
+words around it are verified by exact word edit distance.
+
+Keys are taken from the whole item: an item that may have e edits is cut into e + 1
+pieces, of which e edits leave one as it was. A piece's key is from a walk that starts
+with it and whose sampled steps do not leave it, so the untouched piece always agrees:
+the candidates hold every window within the limit, recall is one by construction. Each
+of ``rounds`` random walks takes the pieces that it covers well; the walk that always
+moves on takes the rest.
 
 The walks of all windows of a slice of texts advance together as vectors, and a
-window leaves the walk at the first sampled step whose word no item has there. The
-steps sampled for an item lie within a walk over its shortest size class, so a walk
-does not depend on where a window ends: one walk per start serves every item size.
+window leaves the walk at the first sampled step that no piece has so far. A walk does
+not depend on where a window ends: one walk per start serves every item size.
 
 Items are a stated query set. They are held in blocks of at most ``block_chars``
 characters, each broadcast with its closure; every block reads all texts. Defined
@@ -28,9 +34,10 @@ from pyspark.sql import functions as F
 from . import tokens
 from .common import need, prepare, text_of
 
-# (least words of an item, steps of a walk, sampled steps)
-SIZES = ((1, 1, 1), (2, 2, 2), (4, 6, 3), (8, 15, 5))
-ANCHOR = 8  # an item of twice as many words also has keys from its middle on
+PIECE = 8  # words of a piece that its key may be taken from, from the first on
+_STEP = np.uint64(0x9E3779B97F4A7C15)
+_ALL = np.uint64((1 << 64) - 1)
+_NEAR = np.uint64(46)  # shift of a key to its place in a table of 2**18 marks
 
 
 class Index:
@@ -48,41 +55,64 @@ class Index:
         self.vocab = np.unique(np.concatenate([h for _, h in self.items])) if self.items else np.zeros(0, np.uint64)
         self.near = np.zeros(1 << 16, bool)
         self.near[(self.vocab >> np.uint64(48)).astype(np.int64)] = True
+        if percent >= 100:
+            raise ValueError("percent must be below 100")
+        pieces: dict[int, list[tuple[int, int]]] = {}  # by length: item, first word
+        for i, (_, h) in enumerate(self.items):
+            parts = len(h) * percent // 100 + 1
+            cuts = [len(h) * k // parts for k in range(parts + 1)]
+            for low, high in zip(cuts, cuts[1:]):
+                pieces.setdefault(min(high - low, PIECE), []).append((i, low))
         rng = np.random.default_rng(seed)
         self.rounds = []
-        for k, (least, steps, sampled) in enumerate(SIZES):
-            most = SIZES[k + 1][0] if k + 1 < len(SIZES) else 1 << 60
-            own = [i for i, (_, h) in enumerate(self.items) if least <= len(h) < most]
-            for _ in range(rounds if steps > 2 else 1):
-                at = np.sort(rng.choice(steps, sampled, replace=False))
-                at[0] = rng.integers(0, min(3, at[1])) if len(at) > 1 else 0  # early pruning is what makes a walk cheap
-                salt = rng.integers(0, 1 << 63, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-                if own:
-                    self.rounds.append(self._round(own, at, salt))
-
-    def _round(self, own: list[int], at: np.ndarray, salt: np.uint64):
-        """Steps, salt, words seen at each sampled step, and key -> (item, anchor)."""
-        keys: dict[tuple, list[tuple[int, int]]] = {}
-        for i, anchor in [(i, 0) for i in own] + [(i, len(self.items[i][1]) // 2) for i in own if len(self.items[i][1]) >= 2 * ANCHOR]:
-            h = self.items[i][1][anchor:]
-            code = self.coded(h)
-            bits = h * salt
-            cursor, key = 0, []
-            for t in range(int(at[-1]) + 1):
-                inside = cursor < len(h)
-                if t in at:
-                    key.append(int(code[cursor]) if inside else 0)
-                if inside:
-                    cursor += int(bits[cursor] >> np.uint64(63 - t)) & 1
-            if 0 not in key:
-                keys.setdefault(tuple(key), []).append((i, anchor))
+        with np.errstate(over="ignore"):
+            for length, own in sorted(pieces.items()):
+                left = np.array(own, np.int64)
+                for _ in range(rounds if length > 2 else 0):
+                    # Walks move on at half of their steps.
+                    last = 2 * length - 2
+                    at = np.sort(np.append(rng.choice(np.arange(1, last), length - 1, replace=False), [0, last]))
+                    salt = rng.integers(0, 1 << 63, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+                    left = self._round(left, length, at, salt, max(3, length - 1))
+                self._round(left, length, np.arange(length), None, length)
+
+    def _round(self, own: np.ndarray, length: int, at: np.ndarray, salt: np.uint64 | None, least: int) -> np.ndarray:
+        """Takes those of ``own`` (item, first word) whose walk stays inside and shows ``least`` of their words; the others are returned."""
+        if not len(own):
+            return own
+        h = np.stack([self.items[i][1][k : k + length] for i, k in own])
+        bits = self._bits(h, salt)
+        code = self.coded(h.ravel()).reshape(h.shape).astype(np.uint64)
+        every = np.arange(len(own))
+        cursor, shown = np.zeros(len(own), np.int64), np.zeros(h.shape, bool)
+        key, levels = None, []
+        for t in range(int(at[-1]) + 1):
+            inside = np.minimum(cursor, length - 1)
+            if t in at:
+                shown[every, inside] = True
+                key = self._key(key, code[every, inside])
+                levels.append(key)
+            if t < at[-1]:
+                cursor += ((bits[every, inside] >> np.uint64(63 - t)) & np.uint64(1)).astype(np.int64)
+        good = (cursor < length) & (shown.sum(1) >= least)
+        if not good.any():
+            return own
         seen = []
-        for level in range(len(at)):
-            there = np.zeros(len(self.vocab) + 1, bool)
-            there[[k[level] for k in keys]] = True
-            there[0] = False
+        for k in levels:
+            there = np.zeros(1 << 18, bool)
+            there[(k[good] >> _NEAR).astype(np.int64)] = True
             seen.append(there)
-        return at, salt, seen, keys
+        order = np.argsort(key[good], kind="stable")
+        self.rounds.append((at, salt, seen, key[good][order], own[good][order]))
+        return own[~good]
+
+    @staticmethod
+    def _bits(h: np.ndarray, salt: np.uint64 | None) -> np.ndarray:
+        return np.full(h.shape, _ALL) if salt is None else h * salt
+
+    @staticmethod
+    def _key(before: np.ndarray | None, code: np.ndarray) -> np.ndarray:
+        return tokens.mix(code + _STEP if before is None else before * _STEP + code)
 
     def coded(self, h: np.ndarray) -> np.ndarray:
         """A word's place in the items' vocabulary from 1, or 0."""
@@ -100,29 +130,33 @@ class Index:
         if not len(self.vocab) or not len(h):
             return out
         code = self.coded(h)
-        code = np.append(code, np.int32(0))
+        code = np.append(code, np.int32(0)).astype(np.uint64)
         last = len(h)
         h = np.append(h, np.uint64(0))
-        every = np.arange(last, dtype=np.int32)
         with np.errstate(over="ignore"):
-            for at, salt, seen, keys in self.rounds:
-                bits = h * salt
-                start = cursor = every
-                parts, t = [], 0
-                for level, step in enumerate(at):
+            known = np.flatnonzero(code).astype(np.int32)
+            first = self._key(None, code[known])
+            place = (first >> _NEAR).astype(np.int64)
+            for at, salt, seen, keys, own in self.rounds:
+                stay = np.flatnonzero(seen[0][place])
+                start = cursor = known[stay]
+                key, t = first[stay], 0
+                for level, step in enumerate(at[1:], 1):
                     while t < step:
-                        moves = (bits[cursor] >> np.uint64(63 - t)).astype(np.int32) & 1
-                        cursor = np.minimum(cursor + moves, last)
+                        moves = 1 if salt is None else ((h[cursor] * salt) >> np.uint64(63 - t)).astype(np.int32) & 1
+                        cursor = np.minimum(cursor + moves, last).astype(np.int32)
                         t += 1
                     word = code[cursor]
-                    stay = np.flatnonzero(seen[level][word])
-                    start, cursor, parts = start[stay], cursor[stay], [p[stay] for p in parts] + [word[stay]]
+                    key = self._key(key, word)
+                    stay = np.flatnonzero(seen[level][(key >> _NEAR).astype(np.int64)] & (word > 0))
+                    start, cursor, key = start[stay], cursor[stay], key[stay]
                     if not len(start):
                         break
-                if len(start):
-                    for s, *key in zip(start.tolist(), *(p.tolist() for p in parts)):
-                        for i, anchor in keys.get(tuple(key), ()):
-                            out.add((s - anchor, i, s))
+                low, high = np.searchsorted(keys, key, "left"), np.searchsorted(keys, key, "right")
+                for k in np.flatnonzero(high > low):
+                    s = int(start[k])
+                    for i, anchor in own[low[k] : high[k]].tolist():
+                        out.add((s - anchor, i, s))
         # A window that is near enough holds most of the item's words, all of which are in the vocabulary.
         known = np.zeros(last + 1, np.int64)
         np.cumsum(code[:last] > 0, out=known[1:])
@@ -155,8 +189,7 @@ class Index:
         out: list[list[int]] = []
         for w in tokens.words(column, spoken=True):
             found: dict[int, set[int]] = {}
-            for start, i, sign in sorted(self.candidates(w.hash)):
-                doc = int(w.doc[sign])
+            for start, i, doc in sorted({(start, i, int(w.doc[sign])) for start, i, sign in self.candidates(w.hash)}):
                 name, item = self.items[i]
                 slack = len(item) * self.percent // 100
                 window = w.hash[max(w.first[doc], start - slack) : min(w.first[doc + 1], start + len(item) + slack)]

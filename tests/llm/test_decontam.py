@@ -59,3 +59,24 @@ def test_recall_under_edits():
         texts.append(" ".join(["before"] * 10 + words + ["after"] * 10))
     got = index.matches(pa.array(texts))
     assert sum(i in g for (i, _), g in zip(items, got)) >= 0.95 * len(items)
+
+
+def test_recall_at_the_full_limit():
+    """Every item is found with as many edits as the limit allows, whatever its length."""
+    rng = random.Random(6)
+    for n in (1, 3, 5, 8, 10, 12, 15, 16, 20, 40, 60, 200):
+        items = [(i, " ".join(f"w{rng.randrange(4000)}" for _ in range(n))) for i in range(60)]
+        index = decontam.Index(items, 20, 6, 11)
+        texts = []
+        for i, t in items:
+            words = t.split()
+            if i % 2:
+                for k in rng.sample(range(n), n * 20 // 100):
+                    words[k] = "edited"
+            else:
+                for _ in range(n * 20 // 100):
+                    k = rng.randrange(len(words))
+                    words[k : k + 1] = rng.choice([["edited"], [], [words[k], "added"]])
+            texts.append(" ".join(["before"] * 10 + words + ["after"] * 10))
+        got = index.matches(pa.array(texts))
+        assert all(i in g for (i, _), g in zip(items, got)), n
