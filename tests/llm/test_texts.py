@@ -23,6 +23,21 @@ def test_licenses(spark):
     assert licenses.scan(docs.limit(0)).count() == 0
 
 
+def test_wrapped_licenses():
+    """Notices as files hold them: wrapped, in comments, with headings and identifiers."""
+    mit = "MIT License\n\nCopyright (c) 2020 Someone\n\nPermission is hereby granted, free of charge, to any person obtaining a copy\nof this software and associated documentation files (the \"Software\"), to deal\nin the Software without restriction, including without limitation the rights\nto use, copy, modify, merge, publish, distribute, sublicense, and/or sell\ncopies of the Software.\n"
+    bsd = "Copyright 2019 Someone\n\nRedistribution and use in source and binary forms, with or without\nmodification, are permitted provided that the following conditions\nare met:\n"
+    broken = "// Redistribution and use in source and binary forms,\n//\n// with or without modification, are permitted redistribution\n//\n// provided that the following conditions are met (license)\n"
+    names = lambda text: [x["license"] for x in licenses._scanner(0.2).scan(text) if x["license"]]
+    assert names(mit) == ["MIT", "MIT"] and names(bsd) == ["BSD-3-Clause"] and names(broken) == ["BSD-3-Clause"]
+    assert names(mit + "\n" + bsd) == ["MIT", "MIT", "BSD-3-Clause"]
+    assert names("".join(f"# {x}\n" for x in mit.split("\n"))) == ["MIT", "MIT"]
+    for name, ids in licenses.SPDX.items():
+        assert all(names(f"// SPDX-License-Identifier: {x}\nint main;") == [name] for x in ids)
+    assert names("                    GNU GENERAL PUBLIC LICENSE\n                       Version 3, 29 June 2007\n") == ["GPL-3.0"]
+    assert names("SPDX-License-Identifier: Zlib") == [] and names("a license\nof other words") == []
+
+
 def test_surrogates(spark):
     text = "Mail ann.lee@corp.example.com or ANN.lee@Corp.example.com, +1 (521) 555-6210, 10.20.30.40, 4785 3805 9239 1139; Mrs. Anna Berg met Иван and Dr. Müller."
     new, kinds = surrogates.replaced(text, KEY)
