@@ -29,3 +29,15 @@ def test_components(spark):
     links = [(i, i + 1) for i in range(1, 40)] + [(100, 101), (101, 100), (7, 7), (500, 500), (60, 50), (70, 60), (None, 3)]
     got = {r.id: r.component for r in components.components(spark.createDataFrame(links, "a long, b long")).collect()}
     assert {got[i] for i in range(1, 41)} == {1} and got[101] == 100 and got[500] == 500 and got[70] == 50
+
+
+def test_near_duplicates_by_five_words(spark):
+    """The stage against all pairs of five-word sets, with a pair that is near on four words only."""
+    base = [f"w{i}" for i in range(40)]
+    texts = {1: base, 2: [*base[:20], "new", *base[21:]], 3: [f"v{i}" for i in range(60)], 5: ["a", "b"], 6: ["a", "b"], 7: ["a", "c"]}
+    texts[4] = [*texts[3][:30], "new", *texts[3][31:]]
+    sets = {d: {tuple(w[i : i + 5]) for i in range(len(w) - 4)} or {tuple(w)} for d, w in texts.items()}
+    gone = {b for a in texts for b in texts if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
+    assert gone == {4, 6}
+    docs = spark.createDataFrame([(d, " ".join(w), "en", "s", 0) for d, w in texts.items()], "doc_id long, text string, lang string, source string, n_chars long")
+    assert {r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, SMALL).collect()} == set(texts) - gone
