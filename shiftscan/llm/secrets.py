@@ -1,13 +1,18 @@
 """Secrets in texts: fixed patterns, and a battery of randomness tests.
 
 Patterns give the base spans. The method adds tokens that look drawn at random: for
-each long token an encoding is inferred, and three tests of randomness over that
+each token of 16 characters or more an encoding is inferred, and three tests of randomness over that
 encoding's alphabet are made: chi-squared uniformity, the number of runs above and
 below the middle symbol, and the lag-one serial correlation. Fisher's rule combines
 them into one p-value. A token is set aside as ordinary when randomness is rejected
 at false discovery rate ``fdr`` among the tokens of its length class (a short token's
 p-value never competes with a long one's); what is left is a secret.
 
+A token is a run of characters that encodings use, with ``=`` at its end only, so names
+and values are apart. A run that mixes the special characters of two encodings fits
+none: the runs of either within it are its tokens. Of secrets within another only the
+outer one is reported.
+
 Everything is built-in column expressions. The only shuffle is of one histogram of
 p-values (``BINS`` by length class: bounded whatever the input); its thresholds are a
 handful of numbers. Offsets are code points, ends exclusive.
@@ -32,7 +37,11 @@ ACCESS = r"AKIA[A-Z0-9]{16,}"
 HEX = r"[0-9a-f]{24,}"
 LEAST_VALUE = 6
 KINDS = ("assign", "access", "hex", "random")
-TOKEN = r"[A-Za-z0-9+/_=-]{24,}"
+# Padding stands at the end; tokens without a digit or without a letter are no secrets and are not looked at.
+_PAD = r"(?:=+(?![A-Za-z0-9+/_=-]))?"
+TOKEN = r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z+/_-]*[0-9])(?=[0-9+/_-]*[A-Za-z])[A-Za-z0-9+/_-]{16,}" + _PAD
+MIXED = r"[+/].*[_-]|[_-].*[+/]"
+PARTS = (r"[A-Za-z0-9+/]{16,}" + _PAD, r"[A-Za-z0-9_-]{16,}" + _PAD)
 ANY = r"(?i:passw|secret|token|api_?key)|AKIA|[A-Za-z0-9+/_=-]{24}"
 DIGITS, LOWER, UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 ENCODINGS = (
@@ -44,7 +53,7 @@ ENCODINGS = (
     ("base64url", r"^[A-Za-z0-9_-]+=*$", UPPER + LOWER + DIGITS + "-_"),
     ("base64", r"^[A-Za-z0-9+/]+=*$", UPPER + LOWER + DIGITS + "+/"),
 )
-CLASSES = (24, 32, 48, 96)  # least lengths of the length classes
+CLASSES = (16, 24, 32, 48, 96)  # least lengths of the length classes
 BINS = 2000
 _BLOCK = 128
 _SPAN = "array<struct<start: int, kind: int, end: int, token: string>>"
@@ -76,6 +85,17 @@ def _spans(text: Column, pattern: str, kind: int, group: int = 0, least: int = 0
     return _let(found, lambda x: F.when(F.size(x.hit) > 0, built(x)).otherwise(empty)).cast(_SPAN)
 
 
+def _tokens(text: Column) -> Column:
+    """Spans of the tokens to test, or null."""
+
+    def parts(y: Column) -> Column:
+        inner = _let(y.token, lambda t: F.array_distinct(F.concat(*(_spans(t, pattern, 3) for pattern in PARTS))))
+        moved = F.transform(inner, lambda z: F.struct((z.start + y.start).alias("start"), z.kind.alias("kind"), (z.end + y.start).alias("end"), z.token.alias("token")))
+        return F.when(y.token.rlike(MIXED), moved).otherwise(F.array(y)).cast(_SPAN)
+
+    return F.when(text.rlike(TOKEN), F.flatten(F.transform(_spans(text, TOKEN, 3), parts)))
+
+
 def _upper_tail(z: Column) -> Column:
     """The standard normal's upper tail, by a logistic fit good to two parts in 10,000."""
     z = F.least(F.greatest(z, F.lit(-12.0)), F.lit(12.0))
@@ -160,15 +180,16 @@ def scan(docs: DataFrame, fdr: float = 0.05, into: str = "secrets") -> DataFrame
         text.rlike(ANY),
         F.concat(_spans(text, ASSIGN, 0, 2, LEAST_VALUE), F.when(text.contains("AKIA"), _spans(text, ACCESS, 1)).otherwise(none), _spans(text, HEX, 2)),
     ).otherwise(none)
-    tokens = F.when(text.rlike(TOKEN), _spans(text, TOKEN, 3)).otherwise(none)
-    judged = docs.select(text.alias("text")).where(text.rlike(TOKEN)).select(F.explode(F.regexp_extract_all("text", F.lit(TOKEN), F.lit(0))).alias("token"))
+    tokens = F.coalesce(_tokens(text), none)
+    judged = docs.select(text.alias("text")).where(text.rlike(TOKEN)).select(F.explode(_tokens(F.col("text")).token).alias("token"))
     limit = thresholds(judged.select(_class(F.col("token")).alias("class"), p_random(F.col("token")).alias("p")), fdr)
     most = F.lit(0.0)
     bounds = F.array(*[F.lit(float(limit.get(k, 0.0))) for k in range(len(CLASSES))])
 
     def chosen(base: Column, more: Column) -> Column:
         random = F.filter(more, lambda y: ~F.exists(base, lambda b: (b.start < y.end) & (y.start < b.end)) & F.coalesce(p_random(y.token) > F.coalesce(F.get(bounds, _class(y.token)), most), F.lit(False)))
-        return F.transform(F.array_sort(F.concat(base, random)), lambda y: F.struct(y.start.alias("start"), y.kind.alias("kind"), y.end.alias("end")))
+        outer = _let(random, lambda r: F.filter(r, lambda y: ~F.exists(r, lambda z: (z.start <= y.start) & (y.end <= z.end) & (z.end - z.start > y.end - y.start))))
+        return F.transform(F.array_sort(F.concat(base, outer)), lambda y: F.struct(y.start.alias("start"), y.kind.alias("kind"), y.end.alias("end")))
 
     both = F.struct(hits.alias("base"), tokens.alias("more"))
     return docs.withColumn(into, F.struct(_let(both, lambda x: F.when((F.size(x.base) > 0) | (F.size(x.more) > 0), chosen(x.base, x.more)).otherwise(F.array().cast("array<struct<start: int, kind: int, end: int>>"))).alias("spans")))

@@ -62,3 +62,16 @@ def test_added_spans(spark):
     assert got[1] == [(4, 3, 54)] and not got[2] and not got[4] and not got[5]
     assert [k for _, k, _ in got[3]] == [0]
     assert secrets.scan(docs.limit(0)).count() == 0
+
+
+def test_values_in_context(spark):
+    """Random values after a name, in a query, with padding, next to other encodings' characters, and short ones."""
+    rng = random.Random(8)
+    draw = lambda n, more="": "".join(rng.choice(secrets.DIGITS + secrets.UPPER + secrets.LOWER + more) for _ in range(n))
+    plain, base64, short = draw(40), draw(42, "+/") + "==", draw(20)
+    rows = [(1, "SIGNATURE=", plain, " ok"), (2, "https://a.example/get?sig=", plain, "&x=1"), (3, "a_long_name_of_some_kind2=", base64, "\nnext"), (4, "my-own-", draw(30) + "+" + draw(12), " end"), (5, "id ", short, "."), (6, "é path/", draw(30) + "-" + draw(9), "/x")]
+    docs = spark.createDataFrame([(i, a + b + c) for i, a, b, c in rows], "doc_id long, text string")
+    got = {r.doc_id: {tuple(s) for s in r.secrets.spans} for r in secrets.scan(docs).collect()}
+    for i, a, b, _ in rows:
+        assert any(k == 3 and lo <= len(a) and len(a + b) <= hi for lo, k, hi in got[i]), (i, got[i])
+    assert got[1] == {(10, 3, 50)} and got[5] == {(3, 3, 23)}
