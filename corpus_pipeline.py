@@ -16,6 +16,8 @@ from shiftscan.llm.common import stored
 
 # Letters from which on a text's entropy is judged, and bits per symbol beyond which no known language has written it.
 JUDGED_LETTERS, MOST_BITS = 200, 4.2
+# The bits are those of alphabets; languages that write with more letters than this are not judged by them.
+ALPHABET = 94
 # Words of a shingle in stages that compare texts.
 SHINGLE = 5
 
@@ -24,7 +26,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects texts without letters, and long ones that no learned language explains better than chance."""
     got = langid.identify(docs, train=F.lit(True), into="_language")
     letters = F.length(F.regexp_replace("text", r"\P{L}+", ""))
-    chance = (F.col("_language.bits") > MOST_BITS) & (letters >= JUDGED_LETTERS)
+    chance = (F.col("_language.bits") > MOST_BITS) & (F.col("_language.alphabet") <= ALPHABET) & (letters >= JUDGED_LETTERS)
     return got.where((F.col("_language.lang_pred") != langid.UNKNOWN) & ~chance).select(*docs.columns)
 
 

@@ -5,7 +5,9 @@ each language into the fewest phrases, each the longest match in that language's
 sample; phrases times the sample's bits per pointer, divided by the text's length,
 is the cross-parsing entropy, and the smallest wins. Parsing needs no suffix links:
 where a phrase cannot grow, the next one starts at the root. That makes it one table
-lookup per symbol, so many texts advance together as numpy vectors.
+lookup per symbol, so many texts advance together as numpy vectors. Every letter of a
+sample is a symbol: the most frequent have a column in a dense table, and the others'
+transitions are held sorted.
 
 Fit bounds (documented parameters): ``docs_per_lang`` labelled rows chosen by a hash
 of their text, and ``sample_chars`` symbols per language. Prediction reads every
@@ -38,8 +40,12 @@ def _letters() -> np.ndarray:
     return np.fromiter((chr(i).isalpha() for i in range(sys.maxunicode + 1)), bool, sys.maxunicode + 1)
 
 
-def automaton(sample: np.ndarray, symbols: int) -> np.ndarray:
-    """(state, symbol) -> twice the next state, plus one where a new phrase begins."""
+def automaton(sample: np.ndarray, symbols: int, dense: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(state, symbol) -> twice the next state, plus one where a new phrase begins.
+
+    As a table for the first ``dense`` symbols; the same for a new phrase with each of the
+    others; and their transitions (state, symbol, twice the next state).
+    """
     step: list[dict[int, int]] = [{}]
     link, length, last = [-1], [0], 0
     for c in sample.tolist():
@@ -70,15 +76,19 @@ def automaton(sample: np.ndarray, symbols: int) -> np.ndarray:
     root = np.full(symbols, dead, np.int32)
     for c, to in step[0].items():
         root[c] = to
-    table = np.tile(2 * root + 1, (len(step), 1))
+    table = np.tile(2 * root[:dense] + 1, (len(step), 1))
+    rare: list[tuple[int, int, int]] = []
     for state, out in enumerate(step):
-        if out:
-            table[state, list(out)] = 2 * np.fromiter(out.values(), np.int32, len(out))
-    return table
+        for c, to in out.items():
+            if c < dense:
+                table[state, c] = 2 * to
+            else:
+                rare.append((state, c, 2 * to))
+    return table, 2 * root[dense:] + 1, np.array(rare, np.int64).reshape(-1, 3)
 
 
 class Parser:
-    """Automata of all languages over one alphabet. ``samples``: (language, text), sorted."""
+    """Automata of all languages over all their letters. ``samples``: (language, text), sorted; ``alphabet``: columns of the dense table."""
 
     def __init__(self, samples: tuple[tuple[str, str], ...], alphabet: int, block: int):
         self.langs, self.block = [x for x, _ in samples], block
@@ -87,24 +97,32 @@ class Parser:
             for c in text.lower():
                 if c.isalpha():
                     count[c] = count.get(c, 0) + 1
-        known = sorted(sorted(count), key=count.get, reverse=True)[: alphabet - 2]
+        known = sorted(sorted(count), key=count.get, reverse=True)
         # 0: anything but a letter; 1: a letter that the samples do not hold.
-        self.code = _letters().astype(np.uint8)
+        self.code = _letters().astype(np.int32)
         for k, c in enumerate(known):
             for x in {c, c.upper()}:
                 if len(x) == 1:
                     self.code[ord(x)] = k + 2
-        self.size = len(known) + 2
-        tables, bits, base = [], [], []
+        symbols = len(known) + 2
+        self.size, self.symbols = min(symbols, alphabet), symbols
+        tables, bits, base, rare, begin, self.letters = [], [], [], [], [], []
         at = 0
         for _, text in samples:
             coded, _ = self.coded([text])
-            table = automaton(coded[coded != 1], self.size)
+            table, root, more = automaton(coded[coded != 1], symbols, self.size)
             tables.append(table + 2 * at)
+            begin.append(root + 2 * at)
+            rare.append(more + np.array([at, 0, 2 * at]))
+            self.letters.append(len(np.unique(coded[coded > 1])))
             base.append(at + len(table) - 1)
             bits.append(log2(max(2, len(coded))))
             at += len(table)
         self.table = np.concatenate(tables).ravel() if tables else np.zeros(0, np.int32)
+        every = np.concatenate(rare) if rare else np.zeros((0, 3), np.int64)
+        keys = every[:, 0] * symbols + every[:, 1]
+        order = np.argsort(keys)
+        self.rare, self.rare_to, self.begin = keys[order], every[order, 2].astype(np.int32), np.array(begin, np.int32)
         self.base, self.bits = np.array(base, np.int32), np.array(bits)
 
     def coded(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -121,6 +139,14 @@ class Parser:
         np.cumsum(keep, out=kept[1:])
         return code[keep], kept[at]
 
+    def _rare(self, to: np.ndarray, state: np.ndarray, symbol: np.ndarray) -> None:
+        """Puts the steps with symbols outside the dense table in place."""
+        at = np.flatnonzero(symbol >= self.size)
+        if len(at):
+            key = state[:, at].astype(np.int64) * self.symbols + symbol[at]
+            place = np.minimum(np.searchsorted(self.rare, key), len(self.rare) - 1)
+            to[:, at] = np.where(self.rare[place] == key, self.rare_to[place], self.begin[:, symbol[at] - self.size])
+
     def costs(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Bits per symbol for each text and language, and each text's number of letters."""
         code, at = self.coded(texts)
@@ -135,9 +161,15 @@ class Parser:
         state = np.repeat(self.base[:, None], len(start), 1)
         phrases = np.zeros((len(self.langs), len(start)), np.int32)
         live = np.searchsorted(-size, -np.arange(int(size[0]) if len(size) else 0), "left")
+        wide = bool(len(code)) and len(self.langs) > 0 and int(code.max()) >= self.size
         for t, k in enumerate(live):
             # One step of every language and piece that is that long.
-            to = self.table[state[:, :k] * self.size + code[start[:k] + t]]
+            symbol = code[start[:k] + t]
+            if wide:
+                to = self.table[state[:, :k] * self.size + np.where(symbol < self.size, symbol, 1)]
+                self._rare(to, state, symbol)
+            else:
+                to = self.table[state[:, :k] * self.size + symbol]
             phrases[:, :k] += to & 1
             state[:, :k] = to >> 1
         total = np.stack([np.bincount(owner, x, len(texts)) for x in phrases], 1) if len(self.langs) else np.zeros((len(texts), 0))
@@ -164,22 +196,22 @@ def samples_of(docs: DataFrame, train: Column, docs_per_lang: int, sample_chars:
 
 
 def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_chars: int = 30_000, alphabet: int = 96, block: int = 1024, into: str = "language") -> DataFrame:
-    """The columns of ``docs`` and struct ``into`` (lang_pred, score, bits).
+    """The columns of ``docs`` and struct ``into`` (lang_pred, score, bits, alphabet).
 
     ``train``: which rows may be learned from. ``score`` is the runner-up's lead over
-    the winner, 0 to 1; ``bits`` the winner's entropy per symbol.
+    the winner, 0 to 1; ``bits`` the winner's entropy per symbol, ``alphabet`` the letters in the winner's sample.
     """
     need(docs, "text", "lang")
     prepare(docs.sparkSession)
     samples = samples_of(docs, train, docs_per_lang, sample_chars)
 
-    result = pa.struct([("lang_pred", pa.string()), ("score", pa.float64()), ("bits", pa.float64())])
+    result = pa.struct([("lang_pred", pa.string()), ("score", pa.float64()), ("bits", pa.float64()), ("alphabet", pa.int32())])
 
-    @F.arrow_udf("struct<lang_pred: string, score: double, bits: double>")
+    @F.arrow_udf("struct<lang_pred: string, score: double, bits: double, alphabet: int>")
     def predict(column: pa.Array) -> pa.Array:
         parser = _parser(samples, alphabet, block)
         ends = np.cumsum(np.fromiter((x.as_py() or 0 for x in pc.utf8_length(column)), np.int64, len(column)))
-        pred, score, bits = [], [np.zeros(0)], [np.zeros(0)]
+        pred, sizes, score, bits = [], [], [np.zeros(0)], [np.zeros(0)]
         row = 0
         while row < len(column):
             # Slices of whole texts of about half a million characters.
@@ -192,10 +224,11 @@ def identify(docs: DataFrame, train: Column, docs_per_lang: int = 200, sample_ch
             second = np.partition(cost, 1, 1)[:, 1] if cost.shape[1] > 1 else np.maximum(low, 2 * low)
             lead = np.where((letters > 0) & (second > 0), 1 - low / np.where(second > 0, second, 1), 0.0)
             pred += [parser.langs[b] if n else UNKNOWN for b, n in zip(best, letters)]
+            sizes += [parser.letters[b] if n else 0 for b, n in zip(best, letters)]
             score.append(np.clip(lead, 0, 1))
             bits.append(np.where(letters > 0, low, 0.0))
             row = to
         trim()
-        return pa.StructArray.from_arrays([pa.array(pred, pa.string()), pa.array(np.concatenate(score)), pa.array(np.concatenate(bits))], fields=list(result))
+        return pa.StructArray.from_arrays([pa.array(pred, pa.string()), pa.array(np.concatenate(score)), pa.array(np.concatenate(bits)), pa.array(sizes, pa.int32())], fields=list(result))
 
     return docs.withColumn(into, predict(F.col("text").cast("string")))

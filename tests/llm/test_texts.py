@@ -94,3 +94,19 @@ def test_languages(spark, tmp_path):
     assert sum(got[r.doc_id].lang_pred == r.lang for r in held) >= 0.98 * len(held)
     none = langid.identify(docs.limit(0), F.lit(True))
     assert none.count() == 0
+
+
+def test_large_scripts(spark):
+    """Two languages of a large script and one of a small: each letter counts, however many there are."""
+    rng = __import__("random").Random(3)
+    words = {lang: ["".join(chr(0x4E00 + rng.randrange(low, low + 1500)) for _ in range(2)) for _ in range(600)] for lang, low in (("xa", 0), ("xb", 700))}
+    words["en"] = ["".join(rng.choice("abcdefghij") for _ in range(5)) for _ in range(600)]
+    text = lambda lang, n: " ".join(rng.choice(words[lang]) for _ in range(n))
+    rows = [(k, text(lang, 2000), lang) for k, lang in enumerate(words)] + [(10 + k, text(lang, 120), lang) for k, lang in enumerate([*words] * 10)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    got = langid.identify(docs, F.col("doc_id") < 10).where("doc_id >= 10").collect()
+    assert all(r.language.lang_pred == r.lang for r in got)
+    assert all((r.language.alphabet > 94) == (r.lang != "en") for r in got)
+    parser = langid.Parser(tuple((r[2], r[1]) for r in sorted(rows[:3], key=lambda r: r[2])), 96, 1024)
+    whole = langid.Parser(tuple((r[2], r[1]) for r in sorted(rows[:3], key=lambda r: r[2])), 5000, 1024)
+    assert (parser.costs([r[1] for r in rows[3:]])[0] == whole.costs([r[1] for r in rows[3:]])[0]).all()
