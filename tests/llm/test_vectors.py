@@ -61,3 +61,10 @@ def test_tight_group_above_a_shard(spark):
     row = vectors.recall(df, got).first()
     print(f"recall {row.recall} of {row.n_true} links")
     assert row.recall == 1
+
+
+def test_many_lengths(spark):
+    """Each of many vector lengths links, the longest too."""
+    rows = [(10 * n + k, [float(n + 1), 1.0] * n + [1.0 + 0.01 * k]) for n in range(1, 80) for k in range(2)]
+    got = vectors.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
+    assert all(r.n_links == 1 for r in got.collect())
