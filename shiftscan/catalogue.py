@@ -34,6 +34,10 @@ def _scored(spark: SparkSession, sf: str, name: str = "ev_single", kmap: str = "
     return chain.score(feed(spark, sf, name), params.load(spark, kmap, threshold), **o)
 
 
+def _found(spark: SparkSession, sf: str, name: str = "ev_single", kmap: str = "A", threshold: float = 0.005, **o) -> DataFrame:
+    return chain.detect(feed(spark, sf, name), params.load(spark, kmap, threshold), **o)
+
+
 def _text(labels: str = "labels"):
     return F.array_join(F.transform(labels, lambda x: x.cast("string")), ",")
 
@@ -77,6 +81,10 @@ query("route_modulo_load", f"SELECT CAST(machine_id % 12 AS INTEGER) AS worker,
 query("route_affinity", f"SELECT machine_id, count(DISTINCT machine_id % 12) AS workers, count(*) AS readings FROM ({sql.FEEDS['ev_many']}) GROUP BY 1")(
     lambda s, d: routing.check_affinity(routing.modulo(feed(s, d, "ev_many"), 12))
 )
+query("route_arrival_order", f"SELECT machine_id, sensor_id, count(*) AS readings, CAST(0 AS BIGINT) AS backwards FROM ({sql.FEEDS['ev_many']}) GROUP BY 1, 2")(lambda s, d: routing.check_order(routing.placed(feed(s, d, "ev_many"), 12)))
+query("route_by_series", f"SELECT machine_id, sensor_id, count(*) AS readings, CAST(1 AS BIGINT) AS tasks FROM ({sql.FEEDS['ev_many']}) GROUP BY 1, 2")(
+    lambda s, d: routing.by_series(feed(s, d, "ev_many"), 6).withColumn("task", F.spark_partition_id()).groupBy(*KEY).agg(F.count(F.lit(1)).alias("readings"), F.count_distinct("task").alias("tasks"))
+)
 query(
     "route_load_skew",
     f"""SELECT bucket, worker, readings, CAST(max(readings) OVER b AS DOUBLE) * 12 / sum(readings) OVER b AS skew FROM (
@@ -150,7 +158,7 @@ def _labels_sql(where: str = "") -> str:
     return f"WITH RECURSIVE {sql.windows('ev_ten', 'A')}{sql.clusters()} {_LABELS}{where}"
 
 
-for _name, _o in (("kmeans_naive", {"sorted_sweep": False, "rotation": False, "few": False, "single": False}), ("kmeans_sorted", {"rotation": False, "few": False, "single": False}), ("kmeans_rotated", {}), ("kmeans_memo", {"memo": True, "rotation": False})):
+for _name, _o in (("kmeans_naive", {"sorted_sweep": False, "rotation": False, "few": False, "single": False}), ("kmeans_sorted", {"rotation": False, "few": False, "single": False, "kept": False}), ("kmeans_kept", {"rotation": False, "few": False, "single": False}), ("kmeans_rotated", {}), ("kmeans_memo", {"memo": True, "rotation": False})):
     query(_name, _labels_sql())(lambda s, d, o=_o: _scored(s, d, "ev_ten", labels=True, **o).select(*KEY, "rn", _text().alias("labels")))
 query("kmeans_native", _labels_sql())(lambda s, d: _native(s, d).select(*KEY, "rn", _text().alias("labels")))
 query("kmeans_iterations", f"WITH RECURSIVE {sql.windows('ev_ten', 'three')}{sql.clusters()} SELECT CAST(iterations AS INTEGER) AS iterations, count(*) AS windows FROM labelled GROUP BY 1")(
@@ -167,6 +175,8 @@ def _native(s, d) -> DataFrame:
     return labelled(_wins(s, d, "ev_ten", "A"))
 
 
+for _canon in (False, True):
+    query(f"memo_{'canonical' if _canon else 'exact'}_labels", _labels_sql())(lambda s, d, c=_canon: memo.clustered(_wins(s, d, "ev_ten", "A"), c).select(*KEY, "rn", _text().alias("labels")))
 _RATE = "SELECT sensor_id, count(*) AS windows, count(DISTINCT {key}) AS distinct_keys, 1 - CAST(count(DISTINCT {key}) AS DOUBLE) / count(*) AS hit_rate FROM marked GROUP BY 1"
 for _name, _feed, _kmap, _canon, _key in (("memo_exact_hits", "ev_ten", "A", False, "w"), ("memo_canonical_hits", "ev_ten", "A", True, "(seeds, list_sort(w))"), ("memo_dispersion_ladder", "li_sensors", "B", True, "(seeds, list_sort(w))")):
     query(_name, sql.flags(_feed, _kmap, _RATE.format(key=_key)))(lambda s, d, f=_feed, k=_kmap, c=_canon: memo.hit_rate(_wins(s, d, f, k), c))
@@ -195,11 +205,11 @@ query("tail_divisions", sql.chain("ev_single", "A", "SELECT sensor_id, CAST(sum(
 )
 _ANOM = "SELECT machine_id, sensor_id, rn, ts, first_ts, p, rule FROM scored WHERE p < threshold"
 _COLS = [*KEY, "rn", "ts", "first_ts", "p", "rule"]
-query("anomalies", sql.chain("ev_single", "A", _ANOM))(lambda s, d: chain.flag(_scored(s, d)).select(*_COLS))
-query("anomalies_ten", sql.chain("ev_ten", "A", _ANOM))(lambda s, d: chain.flag(_scored(s, d, "ev_ten")).select(*_COLS))
-query("anomalies_many", sql.chain("ev_many", "A", _ANOM))(lambda s, d: chain.flag(_scored(s, d, "ev_many")).select(*_COLS))
-query("anomalies_baseline", sql.chain("ev_single", "A", _ANOM))(lambda s, d: chain.flag(_scored(s, d, **chain.BASELINE)).select(*_COLS))
-query("anomalies_w100", sql.chain("ev_single", "A", _ANOM, w=100, threshold=0.0001))(lambda s, d: chain.flag(_scored(s, d, threshold=0.0001, w=100)).select(*_COLS))
+query("anomalies", sql.chain("ev_single", "A", _ANOM))(lambda s, d: _found(s, d).select(*_COLS))
+query("anomalies_ten", sql.chain("ev_ten", "A", _ANOM))(lambda s, d: _found(s, d, "ev_ten").select(*_COLS))
+query("anomalies_many", sql.chain("ev_many", "A", _ANOM))(lambda s, d: _found(s, d, "ev_many").select(*_COLS))
+query("anomalies_baseline", sql.chain("ev_single", "A", _ANOM))(lambda s, d: _found(s, d, **chain.BASELINE).select(*_COLS))
+query("anomalies_w100", sql.chain("ev_single", "A", _ANOM, w=100, threshold=0.0001))(lambda s, d: _found(s, d, threshold=0.0001, w=100).select(*_COLS))
 query("anomalies_emb", sql.chain("emb_windows", "emb", "SELECT sensor_id, count(*) AS windows, count(*) FILTER (p < 0.005) AS anomalies FROM scored GROUP BY 1"))(
     lambda s, d: _scored(s, d, "emb_windows", "emb").groupBy("sensor_id").agg(F.count(F.lit(1)).alias("windows"), F.count_if(F.col("p") < 0.005).alias("anomalies"))
 )
@@ -240,12 +250,12 @@ query("state_bytes", f"SELECT count(*) AS series, CAST(sum(least(n, 500) * 8) AS
 _A6 = sql.codes("ord_priority", "prio", "SELECT machine_id, sensor_id, rn, ts, tick FROM scored WHERE p < 0.02", threshold=0.02)
 
 
-def _release_sql(select: str, idle: int | None, silent: bool) -> str:
+def _release_sql(select: str, idle: int | None, silent: bool, name: str = "ord_priority", anoms: str = _A6, workers: int = 10) -> str:
     quiet = "WHERE NOT (machine_id >= 8 AND tick BETWEEN (SELECT max(tick) / 3 FROM feed0) AND (SELECT max(tick) * 2 / 3 FROM feed0))" if silent else ""
     far = f"CASE WHEN last IS NULL OR epoch - last > {idle} THEN TIMESTAMP '{release.FAR}' ELSE progress_ts END" if idle is not None else "progress_ts"
-    return f"""WITH feed0 AS ({sql.FEEDS['ord_priority']}), feed1 AS (SELECT * FROM feed0 {quiet}),
-    anoms AS ({_A6}), seen AS (SELECT tick // 1000 AS epoch, machine_id % 10 AS worker, max(ts) AS ts FROM feed1 GROUP BY 1, 2),
-    grid AS (SELECT epoch, worker FROM (SELECT DISTINCT epoch FROM seen), (SELECT unnest(range(10)) AS worker)),
+    return f"""WITH feed0 AS ({sql.FEEDS[name]}), feed1 AS (SELECT * FROM feed0 {quiet}),
+    anoms AS ({anoms}), seen AS (SELECT tick // 1000 AS epoch, machine_id % {workers} AS worker, max(ts) AS ts FROM feed1 GROUP BY 1, 2),
+    grid AS (SELECT epoch, worker FROM (SELECT DISTINCT epoch FROM seen), (SELECT unnest(range({workers})) AS worker)),
     prog AS (SELECT epoch, worker, max(ts) OVER x AS progress_ts, max(CASE WHEN ts IS NOT NULL THEN epoch END) OVER x AS last FROM grid LEFT JOIN seen USING (epoch, worker) WINDOW x AS (PARTITION BY worker ORDER BY epoch)),
     front AS (SELECT epoch, min({far}) AS frontier FROM prog GROUP BY epoch HAVING count(*) = count({far})),
     gated AS (SELECT a.machine_id, a.sensor_id, a.rn, a.ts, a.tick, (SELECT min(epoch) FROM front WHERE frontier > a.ts) AS released_at FROM anoms a)
@@ -254,7 +264,7 @@ def _release_sql(select: str, idle: int | None, silent: bool) -> str:
 
 def _release(s, d, idle: int | None = None, silent: bool = False):
     readings = feed(s, d, "ord_priority")
-    anoms = chain.flag(_scored(s, d, "ord_priority", "prio", 0.02))
+    anoms = _found(s, d, "ord_priority", "prio", 0.02)
     if silent:
         top = readings.agg(F.max("tick")).first()[0]
         readings = readings.where(~((F.col("machine_id") >= 8) & F.col("tick").between(top / 3, top * 2 / 3)))
@@ -270,8 +280,41 @@ query("release_inversions", _release_sql(_INV.format(place="ts", span="coalesce(
     lambda s, d: release.inversions(_release(s, d).withColumn("span", F.coalesce("released_at", F.lit(-1))).withColumn("place", F.col("ts")), "place", "span")
 )
 query("unsynced_inversions", f"WITH anoms AS ({_A6}) " + _INV.format(place="tick + (7 * (machine_id % 10)) % 13 * 100", span="tick // 10000", src="anoms"))(
-    lambda s, d: release.inversions(release.unsynced(chain.flag(_scored(s, d, "ord_priority", "prio", 0.02)), 10).withColumn("span", F.floor(F.col("tick") / 10000)), "finished", "span")
+    lambda s, d: release.inversions(release.unsynced(_found(s, d, "ord_priority", "prio", 0.02), 10).withColumn("span", F.floor(F.col("tick") / 10000)), "finished", "span")
+)
+
+_WAIT = "released_at - tick // 1000"
+query("release_delay", _release_sql(f"SELECT {_WAIT} AS delay, count(*) AS outputs FROM gated GROUP BY 1", None, False))(lambda s, d: release.delays(_release(s, d)))
+query("sync_overhead", _release_sql(f"SELECT count(*) AS outputs, count(released_at) AS released, count(*) FILTER ({_WAIT} > 0) AS held, CAST(sum({_WAIT}) AS BIGINT) AS epochs_waited, max({_WAIT}) AS longest FROM gated", None, False))(
+    lambda s, d: release.overhead(_release(s, d))
 )
+query("release_ordered", _release_sql("SELECT machine_id, sensor_id, rn, ts, row_number() OVER (ORDER BY ts, machine_id, sensor_id) AS place FROM anoms", None, False))(lambda s, d: _in_order(_release(s, d)))
+
+
+def _in_order(released: DataFrame) -> DataFrame:
+    """The place that each row has in the ordered output: its partition's rows follow those of the partitions before."""
+    rows = release.ordered(released.select(*KEY, "rn", "ts")).select("*", F.spark_partition_id().alias("part"), F.monotonically_increasing_id().alias("at"))
+    upto = windows.Window.partitionBy().orderBy("at")
+    return rows.withColumn("place", F.row_number().over(upto)).select(*KEY, "rn", "ts", F.col("place").cast("long").alias("place"))
+
+
+# Many machines on twelve workers, with the gate and without.
+_FLEET = sql.chain("ev_many", "A", "SELECT machine_id, sensor_id, rn, ts, tick FROM scored WHERE p < threshold")
+
+
+def _fleet(s, d) -> tuple[DataFrame, DataFrame]:
+    """Readings placed by machine on workers, and the anomalies found there."""
+    readings = routing.placed(feed(s, d, "ev_many"), 12).drop("worker")
+    return readings, chain.detect(readings, params.load(s, "A")).select(*KEY, "rn", "ts", "tick")
+
+
+query("fleet_synced", _release_sql(_GATED, None, False, "ev_many", _FLEET, 12))(lambda s, d: _gated(*_fleet(s, d)).select(*KEY, "rn", "ts", F.coalesce("released_at", F.lit(-1)).alias("released_at")))
+query("fleet_unsynced", f"SELECT machine_id, sensor_id, rn, ts, tick + (7 * (machine_id % 12)) % 13 * 100 AS finished FROM ({_FLEET})")(lambda s, d: release.unsynced(_fleet(s, d)[1], 12).select(*KEY, "rn", "ts", "finished"))
+
+
+def _gated(readings: DataFrame, found: DataFrame) -> DataFrame:
+    return release.gate(found, release.progress(readings, 12))
+
 
 # Relational helpers and summaries.
 query("anomaly_topk", sql.chain("ev_ten", "A", "SELECT machine_id, sensor_id, rn, p FROM scored ORDER BY p, machine_id, sensor_id, rn LIMIT 20"))(lambda s, d: summaries.topk(_scored(s, d, "ev_ten"), 20).select(*KEY, "rn", "p"))
@@ -289,10 +332,10 @@ query(
     "anomaly_asof_order",
     sql.chain("ev_ten", "A", "SELECT a.machine_id, a.sensor_id, a.rn, (SELECT arg_max(o.o_orderkey, (o.o_orderdate, o.o_orderkey)) FROM (SELECT *, o_custkey % 10 AS machine FROM orders) o WHERE o.machine = a.machine_id AND CAST(o.o_orderdate AS TIMESTAMP) <= a.ts) AS o_orderkey FROM scored a WHERE p < threshold"),
 )(
-    lambda s, d: relops.asof(chain.flag(_scored(s, d, "ev_ten")).select(*KEY, "rn", "ts"), table(s, d, "orders").select((F.col("o_custkey") % 10).alias("machine_id"), F.col("o_orderdate").cast("timestamp_ntz").alias("ts"), "o_orderkey"), "machine_id", "ts", "o_orderkey").select(*KEY, "rn", "o_orderkey")
+    lambda s, d: relops.asof(_found(s, d, "ev_ten").select(*KEY, "rn", "ts"), table(s, d, "orders").select((F.col("o_custkey") % 10).alias("machine_id"), F.col("o_orderdate").cast("timestamp_ntz").alias("ts"), "o_orderkey"), "machine_id", "ts", "o_orderkey").select(*KEY, "rn", "o_orderkey")
 )
 query("anomaly_interval_events", sql.chain("ev_single", "A", "SELECT a.machine_id, a.sensor_id, a.rn, count(*) AS around FROM scored a JOIN events e ON e.ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts + INTERVAL 1 HOUR AND e.event_type = a.sensor_id WHERE a.p < a.threshold GROUP BY 1, 2, 3"))(
-    lambda s, d: relops.within(chain.flag(_scored(s, d)).select(*KEY, "rn", "ts"), table(s, d, "events").select(F.col("event_type").alias("sensor_id"), F.col("ts").alias("right_ts")), "sensor_id", 1).groupBy(*KEY, "rn").agg(F.count(F.lit(1)).alias("around"))
+    lambda s, d: relops.within(_found(s, d).select(*KEY, "rn", "ts"), table(s, d, "events").select(F.col("event_type").alias("sensor_id"), F.col("ts").alias("right_ts")), "sensor_id", 1).groupBy(*KEY, "rn").agg(F.count(F.lit(1)).alias("around"))
 )
 query("silent_machines", "SELECT DISTINCT user_id AS machine_id FROM events WHERE user_id NOT IN (SELECT user_id FROM events WHERE ts >= (SELECT date_trunc('day', min(ts)) FROM events) AND ts < (SELECT date_trunc('day', min(ts)) + INTERVAL 1 DAY FROM events))")(lambda s, d: _silent(s, d))
 
@@ -304,7 +347,7 @@ def _silent(s, d):
 
 
 query("active_series", sql.codes("ord_priority", "prio", "SELECT DISTINCT machine_id, sensor_id FROM scored WHERE p < threshold", threshold=0.02))(
-    lambda s, d: relops.active_series(feed(s, d, "ord_priority").select(*KEY).distinct(), chain.flag(_scored(s, d, "ord_priority", "prio", 0.02)))
+    lambda s, d: relops.active_series(feed(s, d, "ord_priority").select(*KEY).distinct(), _found(s, d, "ord_priority", "prio", 0.02))
 )
 query("diff_runs", sql.chain("ev_single", "A", "SELECT machine_id, sensor_id, rn, p AS p_a, p AS p_b FROM scored WHERE false"))(lambda s, d: relops.diff_runs(_scored(s, d), _scored(s, d, sorted_sweep=False, rotation=False)))
 query("pivot_tick", "SELECT machine_id, ts, tick, max(v) FILTER (sensor_id = 'tax') AS tax, max(v) FILTER (sensor_id = 'discount') AS discount FROM (" + sql.FEEDS["li_sensors"] + ") GROUP BY 1, 2, 3")(
@@ -326,7 +369,7 @@ query(
     sql.chain("ev_ten", "A", """SELECT machine_id, sensor_id, unlikely, CAST(rank() OVER (PARTITION BY machine_id ORDER BY unlikely DESC) AS INTEGER) AS rank, CAST(dense_rank() OVER (PARTITION BY machine_id ORDER BY unlikely DESC) AS INTEGER) AS dense,
       CAST(row_number() OVER (PARTITION BY machine_id ORDER BY unlikely DESC, sensor_id) AS INTEGER) AS place, CAST(ntile(2) OVER (PARTITION BY machine_id ORDER BY unlikely DESC, sensor_id) AS INTEGER) AS half FROM (SELECT machine_id, sensor_id, count(*) FILTER (p < 0.05) AS unlikely FROM scored GROUP BY 1, 2)"""),
 )(lambda s, d: summaries.rank_series(_scored(s, d, "ev_ten")))
-for _kind, _op in (("intersect", "INTERSECT"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
+for _kind, _op in (("union", "UNION ALL"), ("intersect", "INTERSECT"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
     query(f"anomaly_setops_{_kind}", f"WITH RECURSIVE {sql.windows('ev_ten', 'A')}{sql.clusters()}{sql.scores()} SELECT machine_id, sensor_id FROM scored WHERE p < 0.02 {_op} SELECT machine_id, sensor_id FROM scored WHERE p < 0.002")(
         lambda s, d, k=_kind: relops.setops(_scored(s, d, "ev_ten").where("p < 0.02").select(*KEY), _scored(s, d, "ev_ten").where("p < 0.002").select(*KEY), k)
     )
@@ -347,8 +390,8 @@ query("udaf_dispersion", f"SELECT sensor_id, count(DISTINCT v) AS distinct_value
 @query("udtf_trace")
 def _(s, d):
     udfs.register(s)
-    _wins(s, d, "ev_ten", "A").where("rn = 10").createOrReplaceTempView("first_windows")
-    return s.sql("SELECT machine_id, sensor_id, t.* FROM first_windows, LATERAL window_trace(w, k) t")
+    _wins(s, d, "ev_ten", "A").createOrReplaceTempView("all_windows")
+    return s.sql("SELECT machine_id, sensor_id, rn, t.* FROM all_windows, LATERAL window_trace(w, k) t")
 
 
 # Streams run to their end; the batch is the oracle.

@@ -8,13 +8,13 @@ import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.kernel import Options, clusters, probabilities, shape
+from ..operators.kernel import Block, Options, clusters, probabilities
 from ..ship import ship
 
 
 def _labels(values, k: int) -> np.ndarray:
-    win, _, seeds, many = shape(np.asarray(values, np.int64), int(k), len(values))
-    return clusters(win, seeds, many, Options(w=len(values)))[0]
+    block = Block(np.asarray(values, np.int64), len(values))
+    return clusters(block, np.zeros(1, np.int64), np.array([min(int(k), len(block.values))]), Options(w=len(values)))[0]
 
 
 def _cluster_labels(w: pa.Array, k: pa.Array) -> pa.Array:
@@ -27,7 +27,7 @@ def _window_p(w: pa.Array, k: pa.Array, n: pa.Array) -> pa.Array:
         if not v or not c or len(v) < 2:
             out.append(None)
             continue
-        num, den, _ = probabilities(_labels(v, c), Options(w=len(v), n=t))
+        num, den, _ = probabilities(_labels(v, c), np.zeros(1, np.int64), np.zeros(1, np.int64), Options(w=len(v), n=t))
         out.append(int(num[0]) / int(den[0]))
     return pa.array(out, pa.float64())
 

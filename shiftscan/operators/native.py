@@ -25,9 +25,9 @@ def _round(w: Column, c: Column) -> Column:
     return F.transform(c, moved).cast(CENTRES)
 
 
-def labelled(win: DataFrame, max_iter: int = 50) -> DataFrame:
-    """``labels`` of windows with columns ``w`` and ``k``."""
-    seeds = F.array_sort(F.slice(F.array_distinct("w"), F.lit(1), F.col("k")))
+def labelled(win: DataFrame, max_iter: int = 50, seeds: Column | None = None) -> DataFrame:
+    """``labels`` of windows with columns ``w`` and ``k``; ``seeds`` where they cannot be told from ``w``."""
+    seeds = F.array_sort(F.slice(F.array_distinct("w"), F.lit(1), F.col("k"))) if seeds is None else seeds
     start = F.struct(F.transform(seeds, lambda x: F.struct(x.cast("bigint").alias("s"), F.lit(1).cast("bigint").alias("n"))).cast(CENTRES).alias("c"), F.lit(False).alias("done"))
 
     def step(a: Column, _: Column) -> Column:

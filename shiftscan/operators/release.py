@@ -33,17 +33,29 @@ def frontier(progress_: DataFrame) -> DataFrame:
 def gate(anomalies: DataFrame, progress_: DataFrame) -> DataFrame:
     """``released_at``: the first epoch whose frontier lies beyond an anomaly; null if none does.
 
-    The search meets the frontier's steps of the anomaly's own month only; for later
-    months one row each tells the first epoch from there on.
+    Anomalies and the frontier's steps are sorted together, backwards and day by day; what
+    the days after a day have to offer is one row for each, so one per day of the calendar.
     """
-    steps = frontier(progress_).groupBy("frontier").agg(F.min("epoch").alias("epoch")).withColumn("month", F.date_trunc("month", "frontier"))
-    months = steps.groupBy("month").agg(F.min("epoch").alias("epoch"))
-    rows = anomalies.withColumn("month", F.date_trunc("month", "ts"))
-    spans = rows.select("month").distinct()
-    later = spans.join(F.broadcast(months.select(F.col("month").alias("m"), "epoch")), F.col("m") > F.col("month"), "left").groupBy("month").agg(F.min("epoch").alias("later"))
-    keys = ["machine_id", "sensor_id", "rn"]
-    near = rows.select(*keys, "ts", "month").join(steps, "month").where("frontier > ts").groupBy(*keys).agg(F.min("epoch").alias("near"))
-    return rows.join(near, keys, "left").join(later, "month", "left").withColumn("released_at", F.least("near", "later")).drop("near", "later", "month")
+    steps = frontier(progress_).groupBy(F.col("frontier").alias("_at")).agg(F.min("epoch").alias("_epoch")).withColumn("_day", F.date_trunc("day", "_at"))
+    rows = anomalies.withColumns({"_at": F.col("ts"), "_day": F.date_trunc("day", "ts")})
+    days = steps.select("_day", "_epoch").unionByName(rows.select("_day"), allowMissingColumns=True).groupBy("_day").agg(F.min("_epoch").alias("_epoch"))
+    after = F.min("_epoch").over(Window.orderBy(F.desc("_day")).rowsBetween(Window.unboundedPreceding, -1))
+    # At equal times the anomaly comes first: a frontier must lie beyond it.
+    upto = Window.partitionBy("_day").orderBy(F.desc("_at"), F.col("_epoch").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
+    both = rows.unionByName(steps, allowMissingColumns=True).withColumns({"_near": F.min("_epoch").over(upto)}).where("_epoch is null")
+    placed = both.join(F.broadcast(days.select("_day", after.alias("_later"))), "_day", "left")
+    return placed.withColumn("released_at", F.least("_near", "_later")).drop("_at", "_day", "_epoch", "_near", "_later")
+
+
+def delays(released: DataFrame, epoch: int = 1000) -> DataFrame:
+    """(delay, outputs): epochs between an anomaly's arrival and its release; null for those not released."""
+    return released.groupBy((F.col("released_at") - F.floor(F.col("tick") / epoch)).cast("long").alias("delay")).agg(F.count(F.lit(1)).alias("outputs"))
+
+
+def overhead(released: DataFrame, epoch: int = 1000) -> DataFrame:
+    """What the gate costs: outputs, those held over an epoch's end, their epochs of waiting, and the longest wait."""
+    wait = F.col("released_at") - F.floor(F.col("tick") / epoch)
+    return released.agg(F.count(F.lit(1)).alias("outputs"), F.count("released_at").alias("released"), F.count_if(wait > 0).alias("held"), F.sum(wait).cast("long").alias("epochs_waited"), F.max(wait).cast("long").alias("longest"))
 
 
 def unsynced(anomalies: DataFrame, workers: int) -> DataFrame:

@@ -6,21 +6,32 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..sources.feeds import SERIES
+from ..store import stored
 
 
 def by_order():
     return Window.partitionBy(*SERIES).orderBy("ts", "tick")
 
 
+def ranged(readings: DataFrame, parts: int) -> DataFrame:
+    """``rn`` from 1 in each series, however long: ranges of the total order, of even sizes by a sample, are numbered one by one."""
+    held = stored(readings.repartitionByRange(parts, *SERIES, "ts", "tick").withColumn("_bucket", F.spark_partition_id()), "ranges")
+    return _numbered(held).select(*readings.columns, "rn")
+
+
 def numbered(readings: DataFrame, bucket: str = "month") -> DataFrame:
     """``rn`` from 1 in each series. Rows are ordered within time buckets only, and start where the buckets before end."""
-    rows = readings.withColumn("_bucket", F.date_trunc(bucket, "ts").cast("timestamp_ntz"))
+    return _numbered(readings.withColumn("_bucket", F.date_trunc(bucket, "ts").cast("timestamp_ntz"))).select(*readings.columns, "rn")
+
+
+def _numbered(rows: DataFrame) -> DataFrame:
+    """Rows with ``_bucket`` in, which ascends with their order."""
     counts = rows.groupBy(*SERIES, "_bucket").agg(F.count(F.lit(1)).alias("_n"))
     before = F.sum("_n").over(Window.partitionBy(*SERIES).orderBy("_bucket")) - F.col("_n")
     offsets = counts.withColumn("_before", before).drop("_n")
     within = F.row_number().over(Window.partitionBy(*SERIES, "_bucket").orderBy("ts", "tick"))
     keys = [*SERIES, "_bucket"]
-    return rows.withColumn("_in", within).join(offsets, keys).withColumn("rn", (F.col("_before") + F.col("_in")).cast("long")).drop("_in", "_before", "_bucket").select(*readings.columns, "rn")
+    return rows.withColumn("_in", within).join(offsets, keys).withColumn("rn", (F.col("_before") + F.col("_in")).cast("long"))
 
 
 def count_windows(readings: DataFrame, w: int, full_only: bool = True) -> DataFrame:
