@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -13,6 +14,7 @@ from .operators import memo, relops, release, routing, summaries, windows
 from .plans import chain, cost, staged
 from .sources import params, streams
 from .sources.feeds import SERIES, feed, table
+from .store import shared_folder, stored
 from .streaming import chain as stream
 
 RUNS: dict = {}
@@ -284,7 +286,7 @@ query("unsynced_inversions", f"WITH anoms AS ({_A6}) " + _INV.format(place="tick
 )
 
 _WAIT = "released_at - tick // 1000"
-query("release_delay", _release_sql(f"SELECT {_WAIT} AS delay, count(*) AS outputs FROM gated GROUP BY 1", None, False))(lambda s, d: release.delays(_release(s, d)))
+query("release_delay", _release_sql(f"SELECT {_WAIT} AS delay, count(*) AS outputs FROM gated WHERE released_at IS NOT NULL GROUP BY 1", None, False))(lambda s, d: release.delays(_release(s, d).where("released_at is not null")))
 query("sync_overhead", _release_sql(f"SELECT count(*) AS outputs, count(released_at) AS released, count(*) FILTER ({_WAIT} > 0) AS held, CAST(sum({_WAIT}) AS BIGINT) AS epochs_waited, max({_WAIT}) AS longest FROM gated", None, False))(
     lambda s, d: release.overhead(_release(s, d))
 )
@@ -433,3 +435,64 @@ def _(s, d):
     """What a stream has released at its end: windows whose newest value the watermark has passed."""
     got = stream.detect(_stream(s, d), params.load(s, "A"))
     return _ended(got, "detected").where("p < 0.005").select(*KEY, "rn", "p", "rule")
+
+
+_HALF = "(SELECT min(ts) + (max(ts) - min(ts)) / 2 FROM feed0)"
+
+
+@query("stream_late", f"WITH feed0 AS ({sql.FEEDS['ev_ten']}) SELECT sensor_id, count(*) AS n FROM feed0 WHERE ts < date_trunc('day', (SELECT max(ts) FROM feed0) - INTERVAL 1 HOUR) GROUP BY 1")
+def _(s, d):
+    """Daily counts of a stream whose fourth file repeats its first half, far behind the watermark: nothing of it counts.
+
+    What is late is told by the watermark of the batch before the last one.
+    """
+    rows = feed(s, d, "ev_ten").withColumn("ts", F.col("ts").cast("timestamp"))
+    low, high = rows.agg(F.min(F.unix_micros("ts")), F.max(F.unix_micros("ts"))).first()
+    half = F.unix_micros("ts") < (low + high) // 2
+    path = f"{shared_folder(s).rstrip('/')}/late-{uuid.uuid4().hex}"
+    newest = rows.orderBy(F.desc("ts")).limit(1)
+    for part in (rows.where(half), rows.where(~half), newest, rows.where(half), newest):
+        part.coalesce(1).write.mode("append").parquet(path)
+        time.sleep(1.1)  # a stream takes files by their time, in seconds
+    counts = stream.tumbling(streams.files(s, path, rows.schema), "1 day", "1 hour")
+    return _ended(counts, "late").groupBy("sensor_id").agg(F.sum("n").alias("n"))
+
+
+@query(
+    "stream_correlate",
+    sql.chain("ev_ten", "A", "SELECT a.machine_id, a.sensor_id, a.rn, count(*) AS errors FROM scored a JOIN feed e ON e.machine_id = a.machine_id AND e.sensor_id = 'error' AND e.ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts + INTERVAL 1 HOUR WHERE a.p < a.threshold GROUP BY 1, 2, 3"),
+)
+def _(s, d):
+    """Errors of a machine around its anomalies, stream against stream."""
+    path = f"{shared_folder(s).rstrip('/')}/found-{uuid.uuid4().hex}"
+    _found(s, d, "ev_ten").select(*KEY, "rn", "ts").write.parquet(path)
+    found = s.readStream.schema(s.read.parquet(path).schema).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
+    both = stream.correlate(found, _stream(s, d).where("sensor_id = 'error'"))
+    return _ended(both.select(*KEY, "rn", "error_ts"), "near").groupBy(*KEY, "rn").agg(F.count(F.lit(1)).alias("errors"))
+
+
+@query(
+    "halo_slice",
+    f"""WITH feed0 AS ({sql.FEEDS['ev_ten']}), n AS (SELECT *, row_number() OVER (PARTITION BY machine_id, sensor_id ORDER BY ts, tick) AS rn FROM feed0),
+    b AS (SELECT machine_id, sensor_id, min(rn) AS a, max(rn) AS z FROM n WHERE ts >= {_HALF} GROUP BY 1, 2)
+    SELECT n.* FROM n JOIN b USING (machine_id, sensor_id) WHERE rn BETWEEN a - 10 AND z""",
+)
+def _(s, d):
+    """The later half of the feed with what its first windows need."""
+    readings = feed(s, d, "ev_ten")
+    low, high = readings.agg(F.min("ts"), F.max("ts")).first()
+    middle = low + (high - low) / 2
+    return windows.with_halo(readings, F.lit(middle), F.lit(high) + F.expr("INTERVAL 1 SECOND"), 10)
+
+
+query("udaf_least_likely", sql.chain("ev_ten", "A", "SELECT machine_id, sensor_id, min(p) AS p FROM scored GROUP BY 1, 2"))(lambda s, d: _scored(s, d, "ev_ten").groupBy(*KEY).agg(udfs.functions()["least_likely"]("p").alias("p")))
+query("map_pair_counts", f"WITH RECURSIVE {sql.windows('ev_ten', 'A')}{sql.clusters()}, pairs AS (SELECT machine_id, sensor_id, rn, labels[u] || '>' || labels[u + 1] AS pair FROM labelled, LATERAL (SELECT unnest(range(1, 10)) AS u)), sums AS (SELECT machine_id, sensor_id, rn, pair, count(*) AS n FROM pairs GROUP BY ALL) SELECT machine_id, sensor_id, rn, string_agg(pair || '=' || n, ',' ORDER BY pair) AS counts FROM sums GROUP BY 1, 2, 3")(
+    lambda s, d: summaries.pair_maps(_scored(s, d, "ev_ten", labels=True)).select(*KEY, "rn", F.array_join(F.array_sort(F.transform(F.map_entries("counts"), lambda e: F.concat(e.key, F.lit("="), e.value.cast("string")))), ",").alias("counts"))
+)
+query("hinted_joins", f"SELECT machine_id, rn, s_name, n_name, r_name, hint FROM ({_LI}) JOIN supplier ON machine_id = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey, (VALUES ('merge'), ('shuffle_hash'), ('broadcast')) h(hint)")(lambda s, d: _hinted(s, d))
+
+
+def _hinted(s, d):
+    rows = stored(_scored(s, d, "li_sensors", "B").where("rule = 'rotation' AND sensor_id = 'tax'").select("machine_id", "rn"), "rotated")
+    named = [relops.name_machine(rows, *(table(s, d, t) for t in ("supplier", "nation", "region")), hint=h).select("machine_id", "rn", "s_name", "n_name", "r_name", F.lit(h).alias("hint")) for h in ("merge", "shuffle_hash", "broadcast")]
+    return named[0].unionByName(named[1]).unionByName(named[2])

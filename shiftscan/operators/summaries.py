@@ -55,3 +55,10 @@ def topk(scored: DataFrame, k: int) -> DataFrame:
 def topk_per_machine(scored: DataFrame, k: int) -> DataFrame:
     order = Window.partitionBy("machine_id").orderBy("p", "sensor_id", "rn")
     return scored.withColumn("place", F.row_number().over(order)).where(F.col("place") <= k)
+
+
+def pair_maps(scored: DataFrame) -> DataFrame:
+    """``counts``: a map from each transition of a window, written ``a>b``, to how often it occurs. Needs ``labels``."""
+    steps = F.zip_with(F.slice("labels", F.lit(1), F.size("labels") - 1), F.slice("labels", F.lit(2), F.size("labels") - 1), lambda a, b: F.concat_ws(">", a.cast("string"), b.cast("string")))
+    own = F.transform(F.array_distinct("_steps"), lambda x: F.struct(x.alias("pair"), F.size(F.filter("_steps", lambda y: y == x)).alias("n")))
+    return scored.withColumn("_steps", steps).withColumn("counts", F.map_from_entries(own)).drop("_steps")

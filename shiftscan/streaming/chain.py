@@ -8,7 +8,6 @@ are dropped by Spark and counted in its progress metrics.
 
 from __future__ import annotations
 
-import json
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,20 +22,20 @@ from ..sources.feeds import SERIES
 from ..sources.params import attach
 
 OUT = "machine_id long, sensor_id string, rn long, ts timestamp, p double, rule string"
-STATE = "ring array<long>, rn long, waiting string"
+STATE = "ring array<long>, rn long, k int, ts array<long>, tick array<long>, v array<long>"
 
 
-def _advance(ring: list[int], rn: int, ready: list, k: int, o: Options) -> tuple[list[int], int, list]:
-    """Uses ready rows in order: the new ring, its last row number, and the scored windows."""
-    v = np.array(ring + [r[2] for r in ready], np.int64)
+def _advance(ring: list[int], rn: int, ready: np.ndarray, k: int, o: Options) -> tuple[list[int], int, list]:
+    """Uses ready rows (time, tick, value) in order: the new ring, its last row number, and the scored windows."""
+    v = np.append(np.array(ring, np.int64), ready[2])
     out = []
-    if len(v) >= o.w and ready:
+    if len(v) >= o.w and ready.size:
         skip = max(0, len(ring) - o.w + 1)
         got = scan(v, k, skip, o)
         for i, (num, den, rule) in enumerate(zip(got["num"], got["den"], got["rule"])):
             at = skip + i + o.w - 1 - len(ring)
-            out.append((rn + at + 1, ready[at][0], int(num) / int(den), RULES[rule]))
-    return v[-o.w :].tolist(), rn + len(ready), out
+            out.append((rn + at + 1, int(ready[0, at]), int(num) / int(den), RULES[rule]))
+    return v[-o.w :].tolist(), rn + ready.shape[1], out
 
 
 def detect(readings: DataFrame, params: DataFrame, w: int = 10, n: int = 5, delay: str = "1 hour") -> DataFrame:
@@ -46,25 +45,22 @@ def detect(readings: DataFrame, params: DataFrame, w: int = 10, n: int = 5, dela
     rows = attach(readings, params).withWatermark("ts", delay).select(*SERIES, "ts", "tick", "v", "k")
 
     def follow(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        ring, rn, waiting, k = [], 0, [], 1
-        if state.exists:
-            ring, rn, text = state.get
-            held = json.loads(text)
-            ring, waiting, k = list(ring), held["rows"], held["k"]
+        ring, rn, k, *held = state.get if state.exists else ([], 0, 1, [], [], [])
+        parts = [np.array([list(x) for x in held], np.int64).reshape(3, -1)]
         for b in batches:
             if not len(b):  # a timeout brings no rows
                 continue
-            waiting += [[int(t), int(x), int(y)] for t, x, y in zip(b["ts"].astype("int64") // (1 if str(b["ts"].dtype).startswith("datetime64[us") else 1000), b["tick"], b["v"])]
+            parts.append(np.stack([b["ts"].astype("datetime64[us]").astype("int64"), b["tick"].to_numpy(np.int64), b["v"].to_numpy(np.int64)]))
             k = int(b["k"].iloc[0])
-        safe = state.getCurrentWatermarkMs() * 1000
-        waiting.sort()
-        ready = [r for r in waiting if r[0] <= safe]
-        rest = waiting[len(ready) :]
-        ring, rn, out = _advance(ring, rn, ready, k, o)
-        state.update((ring, rn, json.dumps({"rows": rest, "k": k})))
-        if rest:
+        waiting = np.concatenate(parts, axis=1)
+        waiting = waiting[:, np.lexsort(waiting[::-1])]
+        cut = int(np.searchsorted(waiting[0], state.getCurrentWatermarkMs() * 1000, "right"))
+        ready, rest = waiting[:, :cut], waiting[:, cut:]
+        ring, rn, out = _advance(list(ring), rn, ready, int(k), o)
+        state.update((ring, rn, int(k), *(x.tolist() for x in rest)))
+        if rest.size:
             # Comes back when the watermark passes the next row, with or without new readings.
-            state.setTimeoutTimestamp(max(rest[0][0] // 1000 + 1, state.getCurrentWatermarkMs() + 1))
+            state.setTimeoutTimestamp(max(int(rest[0, 0]) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
         if out:
             yield pd.DataFrame({"machine_id": key[0], "sensor_id": key[1], "rn": [x[0] for x in out], "ts": pd.to_datetime([x[1] for x in out], unit="us"), "p": [x[2] for x in out], "rule": [x[3] for x in out]})
 
