@@ -62,6 +62,7 @@ query("msg_render", _MSG)(lambda s, d: codec.render(feed(s, d, "li_sensors")))
 query("msg_parse_offset", FEED_SQL["li_sensors"])(lambda s, d: codec.parse_by_offset(codec.render(feed(s, d, "li_sensors"))))
 query("msg_parse_generic", FEED_SQL["li_sensors"])(lambda s, d: codec.parse_generic(codec.render(feed(s, d, "li_sensors"))))
 query("msg_parse_python", FEED_SQL["ev_ten"])(lambda s, d: codec.parse_python_udf(codec.render(feed(s, d, "ev_ten"))))
+query("msg_parse_head", f"SELECT machine_id, ts, tick FROM ({sql.FEEDS['ev_ten']})")(lambda s, d: codec.parse_head(codec.render(feed(s, d, "ev_ten"))))
 query("msg_peek_machine", f"SELECT machine_id, count(DISTINCT (ts, tick)) AS messages FROM ({sql.FEEDS['li_sensors']}) GROUP BY 1")(
     lambda s, d: codec.peek_machine(codec.render(feed(s, d, "li_sensors"))).groupBy("machine_id").agg(F.count(F.lit(1)).alias("messages"))
 )

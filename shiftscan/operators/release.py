@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..store import stored
+
 FAR = "9999-12-31 00:00:00"
 
 
@@ -14,7 +16,7 @@ def progress(readings: DataFrame, workers: int, epoch: int = 1000, idle_epochs:
     A worker without a row in the last ``idle_epochs`` epochs signals the far future.
     """
     at = F.floor(F.col("tick") / epoch)
-    seen = readings.select(at.alias("epoch"), F.pmod("machine_id", F.lit(workers)).cast("int").alias("worker"), "ts").groupBy("epoch", "worker").agg(F.max("ts").alias("ts"))
+    seen = stored(readings.select(at.alias("epoch"), F.pmod("machine_id", F.lit(workers)).cast("int").alias("worker"), "ts").groupBy("epoch", "worker").agg(F.max("ts").alias("ts")), "seen")
     grid = seen.select("epoch").distinct().select("epoch", F.explode(F.sequence(F.lit(0), F.lit(workers - 1))).alias("worker"))
     upto = Window.partitionBy("worker").orderBy("epoch").rowsBetween(Window.unboundedPreceding, 0)
     rows = grid.join(seen, ["epoch", "worker"], "left").select("epoch", "worker", F.max("ts").over(upto).alias("progress_ts"), F.max(F.when(F.col("ts").isNotNull(), F.col("epoch"))).over(upto).alias("last"))
@@ -35,9 +37,10 @@ def gate(anomalies: DataFrame, progress_: DataFrame) -> DataFrame:
 
     Anomalies and the frontier's steps are sorted together, backwards and day by day; what
     the days after a day have to offer is one row for each, so one per day of the calendar.
+    Both inputs are written first, since each is used twice and stands for the whole chain.
     """
-    steps = frontier(progress_).groupBy(F.col("frontier").alias("_at")).agg(F.min("epoch").alias("_epoch")).withColumn("_day", F.date_trunc("day", "_at"))
-    rows = anomalies.withColumns({"_at": F.col("ts"), "_day": F.date_trunc("day", "ts")})
+    steps = stored(frontier(progress_).groupBy(F.col("frontier").alias("_at")).agg(F.min("epoch").alias("_epoch")).withColumn("_day", F.date_trunc("day", "_at")), "steps")
+    rows = stored(anomalies.withColumns({"_at": F.col("ts"), "_day": F.date_trunc("day", "ts")}), "anomalies")
     days = steps.select("_day", "_epoch").unionByName(rows.select("_day"), allowMissingColumns=True).groupBy("_day").agg(F.min("_epoch").alias("_epoch"))
     after = F.min("_epoch").over(Window.orderBy(F.desc("_day")).rowsBetween(Window.unboundedPreceding, -1))
     # At equal times the anomaly comes first: a frontier must lie beyond it.

@@ -58,8 +58,6 @@ def _props(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _shaped(table(spark, sf_dir, "events"), F.col("user_id") % 10, F.lit("k"), F.col("ts"), F.col("event_id"), F.get_json_object("props", "$.k"))
 
 
-
-
 def _flags(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = table(spark, sf_dir, "labels").join(table(spark, sf_dir, "documents").select("doc_id", "source"), "doc_id")
     return _shaped(rows, F.regexp_extract("source", "([0-9]+)$", 1), F.lit("toxic"), F.lit("2020-01-01 00:00:00"), F.col("doc_id"), F.col("toxic"))
@@ -92,6 +90,12 @@ def feed(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return FEEDS[name](spark, sf_dir)
 
 
+def fleet(readings: DataFrame, times: int) -> DataFrame:
+    """Each machine ``times`` over, under machine ids of their own: the same readings as a longer feed."""
+    copies = F.explode(F.sequence(F.lit(0), F.lit(times - 1))).alias("copy")
+    return readings.select("*", copies).withColumn("machine_id", F.col("machine_id") * times + F.col("copy")).drop("copy")
+
+
 def readings(spark: SparkSession, path: str, fmt: str = "csv", schema: T.StructType = READING) -> DataFrame:
     """CSV, JSON or Parquet readings; the schema is never inferred."""
     return spark.read.schema(schema).format(fmt).load(path)
