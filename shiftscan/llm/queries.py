@@ -97,13 +97,20 @@ def op8_katz_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     return katz.score(_table(spark, sf_dir, "documents").select("doc_id", "text"), train).withColumn("held_out", held_out)
 
 
+# For the tables, which hold nobody's data; whoever has the key can undo the surrogates.
+KEY = b"for the tables only, not for data"
+
+
 def op9_surrogate_generation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    got = surrogates.pseudonymise(_table(spark, sf_dir, "documents").select("doc_id", "text"))
+    """The texts with surrogates, and the number of collisions that the audit of the whole table found."""
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    clashes = surrogates.collisions(surrogates.found(docs, KEY)).count()
+    got = surrogates.pseudonymise(docs, KEY)
 
     def count(kind: str):
         return F.size(F.filter("kinds", lambda x: x == kind)).alias(f"n_{kind}")
 
-    return got.select("doc_id", "text", *map(count, surrogates.KINDS))
+    return got.select("doc_id", "text", *map(count, surrogates.KINDS), F.lit(clashes).cast("long").alias("n_collisions"))
 
 
 def op10_cross_parsing_language(spark: SparkSession, sf_dir: str) -> DataFrame:

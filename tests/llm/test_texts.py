@@ -2,12 +2,13 @@
 
 import zlib
 
+import pytest
 from pyspark.sql import functions as F
 
 from shiftscan.llm import langid, licenses, queries, surrogates
 
 SMALL = "/root/testdata/sf0.01"
-KEY = b"test key"
+KEY = b"test key of 16 bytes"
 
 
 def test_licenses(spark):
@@ -55,7 +56,52 @@ def test_surrogates(spark):
     docs = spark.createDataFrame([(1, text), (2, None), (3, ""), (4, "clean words only"), (5, text)], "doc_id long, text string")
     got = {r.doc_id: r.text for r in surrogates.pseudonymise(docs, KEY).collect()}
     assert got[1] == got[5] == new and got[2] is None and got[3] == "" and got[4] == "clean words only"
-    assert surrogates.collisions(surrogates.found(spark.read.parquet(f"{SMALL}/documents.parquet"))).count() == 0
+    assert surrogates.collisions(surrogates.found(spark.read.parquet(f"{SMALL}/documents.parquet"), KEY)).count() == 0
+    clash = docs.withColumns({"kinds": F.lit("x"), "_new": F.lit("y"), "new": F.lit("z")})
+    assert surrogates.pseudonymise(clash, KEY).where("doc_id = 1 and size(kinds) = 8 and _new = 'y' and new = 'z'").count() == 1
+    for key in (b"short", "not bytes, however long"):
+        with pytest.raises(ValueError, match="key"):
+            surrogates.pseudonymise(docs, key)
+
+
+def test_surrogates_are_a_permutation_without_fixed_points():
+    """Whole forms by brute force: every string goes to another one of the form, and none to the same."""
+    import itertools
+
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    every = ["".join(x).title() for x in itertools.product(letters, repeat=2)]
+    got = [surrogates.surrogate("name", x, KEY) for x in every]
+    assert sorted(got) == sorted(every) and all(a != b for a, b in zip(every, got))
+    sound = lambda x: [c in surrogates.VOWELS for c in x.lower()]
+    assert all(sound(a) == sound(b) for a, b in zip(every, got))
+    phones = [f"555-{i:04d}" for i in range(10_000)]
+    got = [surrogates.formatted(x, KEY, "phone") for x in phones]
+    assert len(set(got)) == 10_000 and all(a != b for a, b in zip(phones, got))
+    for n, first in ((16, 4_000_000_000_000_000), (15, 340_000_000_000_000)):
+        cards = [str(first + i) for i in range(400)]
+        got = [surrogates.surrogate("card", x, KEY) for x in cards]
+        assert len(set(got)) == 400 and all(a != b and len(b) == n for a, b in zip(cards, got))
+        assert [surrogates.checksum(x) for x in got] == [surrogates.checksum(x) for x in cards]
+    both = ["1.2.3.4", "01.2.3.4", "001.2.3.4", "10.0.0.1", "10.00.0.1"]
+    assert len({surrogates.surrogate("ip", x, KEY) for x in both}) == 5
+    assert surrogates.checksum("4111 1111 1111 1111") and not surrogates.checksum("4111 1111 1111 1112")
+
+
+def test_names_beyond_the_lists():
+    new = lambda text, **o: surrogates.replaced(text, KEY, **o)
+    text = "My name is Priya Sharma. Contact: Wei Chen. Later Sharma wrote to Chen; the Sharma family knows Dr. Okafor, and Okafor knows them."
+    out, kinds = new(text)
+    assert kinds == ["name"] * 7
+    assert not any(x in out for x in ("Priya", "Sharma", "Wei", "Chen", "Okafor"))
+    where = [w for w in out.replace(".", "").replace(";", "").replace(",", "").split()]
+    old = [w for w in text.replace(".", "").replace(";", "").replace(",", "").split()]
+    same = {a: b for a, b in zip(old, where)}
+    assert all(same[a] == b for a, b in zip(old, where))  # one word, one surrogate
+    assert new("Kofi Mensah went out")[1] == [] and new("Kofi Mensah went out", more=("Kofi",))[1] == ["name"]
+    assert new("Dear Sir, the New York office. Contact us.") == ("Dear Sir, the New York office. Contact us.", [])
+    assert new("Mr Ωμέγα and 王@例え.jp")[0] != "Mr Ωμέγα and 王@例え.jp"
+    long = "Dr. Brown 10.0.0.1 " * 20_000
+    assert len(new(long)[1]) == 40_000
 
 
 def brute(samples, text):
