@@ -4,17 +4,23 @@ Patterns give the base spans. The method adds tokens that look drawn at random:
 each token of 16 characters or more an encoding is inferred, and three tests of randomness over that
 encoding's alphabet are made: chi-squared uniformity, the number of runs above and
 below the middle symbol, and the lag-one serial correlation. Fisher's rule combines
-them into one p-value. A token is set aside as ordinary when randomness is rejected
-at false discovery rate ``fdr`` among the tokens of its length class (a short token's
-p-value never competes with a long one's); what is left is a secret.
+them into one p-value. Tokens whose p-value reaches their length class's threshold are
+secrets.
+
+The threshold bounds the share of false secrets. Every token has ``DECOYS`` ordinary
+strings of its length, written from words of its own text and a number, and they pass
+the same battery. At a threshold, the decoys that reach it, by their number, tell how
+many ordinary tokens would; the lowest threshold is taken at which these are at most
+``fdr`` of the tokens that reach it. Where a class's tokens are too short for the battery to tell
+them from words, that is high, or there is none and the class adds nothing.
 
 A token is a run of characters that encodings use, with ``=`` at its end only, so names
 and values are apart. A run that mixes the special characters of two encodings fits
 none: the runs of either within it are its tokens. Of secrets within another only the
 outer one is reported.
 
-Everything is built-in column expressions. The only shuffle is of one histogram of
-p-values (``BINS`` by length class: bounded whatever the input); its thresholds are a
+Everything is built-in column expressions. The only shuffle is of two histograms of
+p-values (``BINS`` by length class: bounded whatever the input); their thresholds are a
 handful of numbers. Offsets are code points, ends exclusive.
 
 Defined results: a null text is empty and has no spans; rows are judged one by one, so
@@ -55,6 +61,9 @@ ENCODINGS = (
 )
 CLASSES = (16, 24, 32, 48, 96)  # least lengths of the length classes
 BINS = 2000
+DECOYS = 20
+_NUMBER = 3  # digits at a decoy's end
+_FILLER = "ordinarywordsthatstandinarow"  # for texts without other words
 _BLOCK = 128
 _SPAN = "array<struct<start: int, kind: int, end: int, token: string>>"
 
@@ -155,19 +164,38 @@ def _class(token: Column) -> Column:
     return out
 
 
-def thresholds(tokens: DataFrame, fdr: float) -> dict[int, float]:
-    """Per length class, the p-value up to which randomness is rejected. ``tokens``: (class, p)."""
-    binned = tokens.where("p is not null").groupBy("class", F.least(F.floor(F.col("p") * BINS), F.lit(BINS - 1)).cast("int").alias("bin")).count()
-    out = {}
-    by: dict[int, dict[int, int]] = {}
+def _trials(docs: DataFrame) -> DataFrame:
+    """(class, decoy, p) of every token to test and of its decoys; ``docs``: (text)."""
+    text = F.col("text")
+    words = F.regexp_replace(F.regexp_replace(text, TOKEN, " "), "[^A-Za-z]", "")
+    rows = docs.where(text.rlike(TOKEN)).select(_tokens(text).token.alias("tokens"), F.when(words == "", F.lit(_FILLER)).otherwise(words).alias("words"))
+    each = rows.select(F.explode("tokens").alias("token"), "words").withColumn("n", F.length("token"))
+    # At least one decoy's length, whatever the text.
+    each = each.withColumn("words", F.expr("repeat(words, 1 + cast(n / length(words) as int))"))
+
+    def decoy(j: Column) -> Column:
+        at = F.pmod(j * (F.col("n") + 7), F.greatest(F.length("words") - F.col("n"), F.lit(1)))
+        return F.concat(F.substr("words", at + 1, F.col("n") - _NUMBER), F.lpad(F.pmod(F.crc32(F.concat_ws(":", F.col("token"), j).cast("binary")), F.lit(10**_NUMBER)).cast("string"), _NUMBER, "0"))
+
+    made = F.transform(F.sequence(F.lit(0), F.lit(DECOYS - 1)), lambda j: F.struct(F.lit(True).alias("decoy"), decoy(j).alias("token")))
+    both = each.select(F.explode(F.concat(F.array(F.struct(F.lit(False).alias("decoy"), "token")), made)).alias("x")).select("x.*")
+    return both.select(_class(F.col("token")).alias("class"), "decoy", p_random(F.col("token")).alias("p"))
+
+
+def thresholds(trials: DataFrame, fdr: float) -> dict[int, float]:
+    """Per length class, the p-value from which on tokens are secrets. ``trials``: (class, decoy, p)."""
+    bin_ = F.least(F.floor(F.col("p") * BINS), F.lit(BINS - 1)).cast("int").alias("bin")
+    binned = trials.where("p is not null").groupBy("class", bin_).agg(F.count_if(~F.col("decoy")).alias("tokens"), F.count_if("decoy").alias("decoys"))
+    by: dict[int, dict[int, tuple[int, int]]] = {}
     for r in binned.collect():  # at most BINS rows a class
-        by.setdefault(r["class"], {})[r["bin"]] = r["count"]
+        by.setdefault(r["class"], {})[r["bin"]] = (r["tokens"], r["decoys"])
+    out = {}
     for k, counts in by.items():
-        m, seen, out[k] = sum(counts.values()), 0, 0.0
-        for b in sorted(counts):
-            seen += counts[b]
-            if (b + 1) / BINS <= fdr * seen / m:
-                out[k] = (b + 1) / BINS
+        tokens = decoys = 0
+        for b in sorted(counts, reverse=True):
+            tokens, decoys = tokens + counts[b][0], decoys + counts[b][1]
+            if decoys <= fdr * DECOYS * tokens:
+                out[k] = b / BINS
     return out
 
 
@@ -181,13 +209,11 @@ def scan(docs: DataFrame, fdr: float = 0.05, into: str = "secrets") -> DataFrame
         F.concat(_spans(text, ASSIGN, 0, 2, LEAST_VALUE), F.when(text.contains("AKIA"), _spans(text, ACCESS, 1)).otherwise(none), _spans(text, HEX, 2)),
     ).otherwise(none)
     tokens = F.coalesce(_tokens(text), none)
-    judged = docs.select(text.alias("text")).where(text.rlike(TOKEN)).select(F.explode(_tokens(F.col("text")).token).alias("token"))
-    limit = thresholds(judged.select(_class(F.col("token")).alias("class"), p_random(F.col("token")).alias("p")), fdr)
-    most = F.lit(0.0)
-    bounds = F.array(*[F.lit(float(limit.get(k, 0.0))) for k in range(len(CLASSES))])
+    limit = thresholds(_trials(docs.select(text.alias("text"))), fdr)
+    bounds = F.array(*[F.lit(float(limit.get(k, 2.0))) for k in range(len(CLASSES))])
 
     def chosen(base: Column, more: Column) -> Column:
-        random = F.filter(more, lambda y: ~F.exists(base, lambda b: (b.start < y.end) & (y.start < b.end)) & F.coalesce(p_random(y.token) > F.coalesce(F.get(bounds, _class(y.token)), most), F.lit(False)))
+        random = F.filter(more, lambda y: ~F.exists(base, lambda b: (b.start < y.end) & (y.start < b.end)) & F.coalesce(p_random(y.token) >= F.get(bounds, _class(y.token)), F.lit(False)))
         outer = _let(random, lambda r: F.filter(r, lambda y: ~F.exists(r, lambda z: (z.start <= y.start) & (y.end <= z.end) & (z.end - z.start > y.end - y.start))))
         return F.transform(F.array_sort(F.concat(base, outer)), lambda y: F.struct(y.start.alias("start"), y.kind.alias("kind"), y.end.alias("end")))
 

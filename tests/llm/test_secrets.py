@@ -75,3 +75,29 @@ def test_values_in_context(spark):
     for i, a, b, _ in rows:
         assert any(k == 3 and lo <= len(a) and len(a + b) <= hi for lo, k, hi in got[i]), (i, got[i])
     assert got[1] == {(10, 3, 50)} and got[5] == {(3, 3, 23)}
+
+
+def test_share_of_false_secrets_by_length(spark):
+    """Drawn tokens and identifiers of words and numbers, in prose: what is reported is drawn, and long drawn tokens are all found."""
+    rng = random.Random(1)
+    letters = secrets.DIGITS + secrets.UPPER + secrets.LOWER
+    prose = [r.text for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").where("length(text) > 300").orderBy("doc_id").limit(200).collect()]
+    parts = ["blue", "getUser", "data", "House", "file", "River", "value", "Item", "index", "Stone", "total", "green", "Market"]
+    rows = []
+    for n in (18, 28, 40, 64, 100):
+        for drawn in (True, False) * 40:
+            token = "".join(rng.choice(letters) for _ in range(n)) if drawn else "".join(rng.sample(parts * 2, 26))[: n - 3] + str(rng.randrange(100, 999))
+            text = rng.choice(prose)
+            rows.append((n, drawn, f"{text[:150]} {token} {text[150:]}"))
+    got = secrets.scan(spark.createDataFrame(rows, "n int, drawn boolean, text string")).withColumn("hit", F.exists("secrets.spans", lambda s: s.kind == 3)).collect()
+    for n in (18, 28, 40, 64, 100):
+        hits = {d: sum(r.hit for r in got if r.n == n and r.drawn == d) for d in (True, False)}
+        assert hits[False] <= 0.1 * (hits[True] + hits[False]), (n, hits)
+        assert n < 40 or hits[True] == 40
+
+
+def test_clashing_column(spark):
+    docs = spark.createDataFrame([(1, "token=abcdefgh")], "doc_id long, text string").withColumns({"secrets": F.lit("x"), "class": F.lit(1), "decoy": F.lit(2)})
+    got = secrets.scan(docs).first()
+    assert got["class"] == 1 and got.decoy == 2 and len(got.secrets.spans) == 1
+    assert secrets.scan(docs, into="own").first().secrets == "x"
