@@ -150,18 +150,24 @@ def _rare_pairs(docs: DataFrame, size: int, percent: int) -> DataFrame:
     ordered = ranked.groupBy("id", "n", "c").agg(F.array_sort(F.collect_list("s")).alias("s"))
     first = ordered.select("id", "n", "c", F.posexplode(F.slice("s", F.lit(1), need_first.cast("int"))).alias("i", "s"))
     first = stored(first.where("s.df > 1").select(F.col("s.h").alias("h"), "id", "n", "c", (F.col("i") + 1).alias("i")), "rare")
-    across = first.groupBy("h").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low < high").select("h")
-    x = first.join(across, "h").toDF("h", "a", "n_a", "c_a", "i_a")
+    # The largest component of a shingle never meets itself: what is compared is what crosses to the others.
+    sizes = first.groupBy("h", "c").agg(F.count(F.lit(1)).alias("k")).groupBy("h").agg(F.max(F.struct("k", "c")).alias("top"), F.count(F.lit(1)).alias("parts"))
+    across = sizes.where("parts > 1").select("h", F.col("top.c").alias("main"))
+    marked = stored(first.join(across, "h").select("h", "id", "n", "c", "i", (F.col("c") != F.col("main")).alias("minor")), "marked")
     # The smaller of two sets shares one of even fewer; and from the first shared shingle on, enough must be left.
     fewer = F.col("i") <= F.col("n") - F.ceil(F.col("n") * 2 * percent / (100 + percent)) + 1
-    y = first.where(fewer).toDF("h", "b", "n_b", "c_b", "i_b")
     left = 1 + F.least(F.col("n_a") - F.col("i_a"), F.col("n_b") - F.col("i_b"))
     enough = left * (100 + percent) >= (F.col("n_a") + F.col("n_b")) * percent
-    pairs = x.join(y, (x.h == y.h) & (F.col("n_b") <= F.col("n_a")) & (F.col("c_a") != F.col("c_b")) & enough)
+
+    def crossing(larger: DataFrame, smaller: DataFrame) -> DataFrame:
+        x, y = larger.drop("minor").toDF("h", "a", "n_a", "c_a", "i_a"), smaller.where(fewer).drop("minor").toDF("h", "b", "n_b", "c_b", "i_b")
+        return x.join(y, (x.h == y.h) & (F.col("n_b") <= F.col("n_a")) & (F.col("c_a") != F.col("c_b")) & enough).drop("h")
+
+    pairs = crossing(marked.where("minor"), marked).unionByName(crossing(marked.where("not minor"), marked.where("minor")))
     return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), F.when(F.col("a") < F.col("b"), F.col("n_a")).otherwise(F.col("n_b")).alias("n_a"), F.when(F.col("a") < F.col("b"), F.col("n_b")).otherwise(F.col("n_a")).alias("n_b"))
 
 
-def near_duplicates(docs: DataFrame, size: int = 4, percent: int = 80, collections: int = 10, rows: int = 3, seed: int = 7) -> DataFrame:
+def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, collections: int = 10, rows: int = 3, seed: int = 7) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of ``docs`` (doc_id, text).
 
     ``percent``: least Jaccard similarity of the shingle sets, in hundredths.
