@@ -13,7 +13,7 @@ row per leaf, of which there may be ``MAX_LEAVES``; beyond that it raises.
 
 Defined results: null levels are leaves named '' of their own; a row without words
 has no tokens and goes with any selected prefix that reaches it; rows without a
-doc_id are ordered by their text; equal rows tie and go in any order; an empty table
+doc_id are ordered by their text; equal rows tie and go in any order; other columns stay, whatever their names; an empty table
 gives an empty result. Columns ``n_copies`` and ``n_tokens`` are replaced.
 """
 
@@ -87,9 +87,13 @@ def mix(docs: DataFrame, levels: list[Column], weights: dict[tuple, float], frac
     need(docs, "doc_id", "text")
     docs = docs.drop("n_copies", "n_tokens")
     names = [f"_l{k}" for k in range(len(levels))]
-    leveled = docs.withColumns({n: F.coalesce(c.cast("string"), F.lit("")) for n, c in zip(names, levels)}).withColumn("n_tokens", words_of(text_of()))
-    slim = stored(leveled.select(*names, "n_tokens", F.when(F.col("doc_id").isNull(), F.xxhash64(text_of())).alias("_k"), "doc_id"), "tokens")
-    totals = slim.groupBy(*names).agg(F.sum("n_tokens").alias("tokens")).limit(MAX_LEAVES + 1).collect()
+    # A row's own columns travel in one struct, so that no name of theirs can clash.
+    leveled = docs.select(
+        F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), *[F.coalesce(c.cast("string"), F.lit("")).alias(n) for n, c in zip(names, levels)],
+        words_of(text_of()).alias("_n"), F.col("doc_id").alias("_id"), F.when(F.col("doc_id").isNull(), F.xxhash64(text_of())).alias("_k"),
+    )
+    slim = stored(leveled.drop("_row"), "tokens")
+    totals = slim.groupBy(*names).agg(F.sum("_n").alias("tokens")).limit(MAX_LEAVES + 1).collect()
     if len(totals) > MAX_LEAVES:
         raise ValueError(f"more than {MAX_LEAVES} leaves")
     tokens = {tuple(r[n] for n in names): int(r.tokens) for r in totals}
@@ -100,18 +104,18 @@ def mix(docs: DataFrame, levels: list[Column], weights: dict[tuple, float], frac
     leaves = docs.sparkSession.createDataFrame(rows, schema)
 
     def ordered(df: DataFrame) -> DataFrame:
-        return df.withColumn("_h", F.xxhash64(F.lit(seed), "_epochs", F.coalesce("doc_id", "_k"))).withColumn("_bucket", F.shiftrightunsigned("_h", 64 - BUCKET_BITS))
+        return df.withColumn("_h", F.xxhash64(F.lit(seed), "_epochs", F.coalesce("_id", "_k"))).withColumn("_bucket", F.shiftrightunsigned("_h", 64 - BUCKET_BITS))
 
-    sums = ordered(slim.join(F.broadcast(leaves), names)).groupBy(*names, "_rest", "_bucket").agg(F.sum("n_tokens").alias("t"))
+    sums = ordered(slim.join(F.broadcast(leaves), names)).groupBy(*names, "_rest", "_bucket").agg(F.sum("_n").alias("t"))
     upto = F.sum("t").over(Window.partitionBy(*names).orderBy("_bucket"))
     crossed = sums.withColumn("_upto", upto).where("_upto > _rest").groupBy(*names).agg(F.min("_bucket").alias("_last"), F.min(F.col("_upto") - F.col("t")).alias("_before"))
     cut = [tuple(r) for r in crossed.collect()]  # one row a leaf
     cuts = docs.sparkSession.createDataFrame(cut, ", ".join(f"{n} string" for n in names) + ", _last long, _before long")
     known = leaves.join(cuts, names, "left")
-    placed = ordered(leveled.withColumn("_k", F.when(F.col("doc_id").isNull(), F.xxhash64(text_of()))).join(F.broadcast(known), names))
+    placed = ordered(leveled.join(F.broadcast(known), names))
     # A leaf whose rest was not crossed has no rest, or only rows without tokens.
     early = placed.where("_last is null or _bucket <> _last").withColumn("_more", ((F.col("_rest") > 0) & (F.col("_last").isNull() | (F.col("_bucket") < F.col("_last")))).cast("long"))
-    running = F.sum("n_tokens").over(Window.partitionBy(*names).orderBy(F.shiftrightunsigned("_h", 1), "_h", "doc_id").rowsBetween(Window.unboundedPreceding, 0))
+    running = F.sum("_n").over(Window.partitionBy(*names).orderBy(F.shiftrightunsigned("_h", 1), "_h", "_id").rowsBetween(Window.unboundedPreceding, 0))
     late = placed.where("_bucket = _last").withColumn("_more", (F.col("_before") + running <= F.col("_rest")).cast("long"))
-    out = early.unionByName(late).withColumn("n_copies", F.col("_epochs") + F.col("_more")).where("n_copies > 0")
-    return out.select(*docs.columns, "n_tokens", "n_copies")
+    out = early.unionByName(late).select("_row.*", F.col("_n").alias("n_tokens"), (F.col("_epochs") + F.col("_more")).alias("n_copies"))
+    return out.where("n_copies > 0")

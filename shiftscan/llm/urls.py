@@ -68,20 +68,20 @@ def judge(pages: DataFrame, listed: DataFrame, rules: list[tuple[str, str, str]]
     listed = listed.select(F.col("url").cast("string").alias("_listed")).where("_listed is not null").distinct()
     count = listed.count()
     blocks = max(1, min(max_blocks, -(-count * bits_each // (32 * WORDS))))
-    split = parts(F.col("url").cast("string"))
-    rows = pages.drop("host", "path", "rule", "verdict", "listed").withColumn("_at", split)
-    rows = rows.withColumn("_key", canonical(F.col("_at.host"), F.col("_at.path")))
-    block, bits = _bits(F.col("_key"), blocks)
-    held = bloom(listed.withColumnRenamed("_listed", "url"), blocks).withColumnRenamed("block", "_block")
-    tested = rows.withColumn("_block", block).join(F.broadcast(held), "_block", "left")
+    # A row's own columns travel in one struct, so that no name of theirs can clash.
+    own = [c for c in pages.columns if c not in ("host", "path", "rule", "verdict", "listed")]
+    rows = pages.select(F.struct(*[F.col(f"`{c}`") for c in own]).alias("row"), parts(F.col("url").cast("string")).alias("at"))
+    rows = rows.withColumn("key", canonical(F.col("at.host"), F.col("at.path")))
+    block, bits = _bits(F.col("key"), blocks)
+    held = bloom(listed.withColumnRenamed("_listed", "url"), blocks)
+    tested = rows.withColumn("block", block).join(F.broadcast(held), "block", "left")
     hit = F.lit(True)
     for k, b in enumerate(bits):
         hit = hit & (F.col(f"w{k}").bitwiseAND(b) != 0)
-    tested = tested.withColumn("_maybe", F.coalesce(hit, F.lit(False))).drop("_block", *[f"w{k}" for k in range(WORDS)])
-    maybe = tested.where("_maybe").join(listed.withColumn("_sure", F.lit(True)), F.col("_key") == F.col("_listed"), "left").drop("_listed")
-    never = tested.where("not _maybe").withColumn("_sure", F.lit(None).cast("boolean"))
-    rule = first_rule(F.col("_at.host"), F.col("_at.path"), rules)
-    out = maybe.unionByName(never).withColumn("listed", F.coalesce("_sure", F.lit(False))).withColumn("_rule", rule)
-    out = out.withColumn("host", F.col("_at.host")).withColumn("path", F.col("_at.path")).withColumn("rule", F.col("_rule.rule"))
-    verdict = F.coalesce(F.col("_rule.verdict"), F.when(F.col("listed"), F.lit("block")).otherwise(F.lit("allow")))
-    return out.withColumn("verdict", verdict).drop("_at", "_key", "_maybe", "_sure", "_rule")
+    tested = tested.select("row", "at", "key", F.coalesce(hit, F.lit(False)).alias("maybe"))
+    maybe = tested.where("maybe").join(listed.withColumn("sure", F.lit(True)), F.col("key") == F.col("_listed"), "left").drop("_listed")
+    never = tested.where("not maybe").withColumn("sure", F.lit(None).cast("boolean"))
+    rule = first_rule(F.col("at.host"), F.col("at.path"), rules)
+    out = maybe.unionByName(never).withColumns({"listed": F.coalesce("sure", F.lit(False)), "rule": rule})
+    verdict = F.coalesce(F.col("rule.verdict"), F.when(F.col("listed"), F.lit("block")).otherwise(F.lit("allow")))
+    return out.select("row.*", F.col("at.host").alias("host"), F.col("at.path").alias("path"), F.col("rule.rule").alias("rule"), verdict.alias("verdict"), "listed")

@@ -36,3 +36,50 @@ def test_prefixes(spark):
         again = mixing.mix(docs.repartition(7), levels, {("en",): 3}, budget=budget, epochs=4).collect()
         assert sorted((r.doc_id or -1, r.n_copies) for r in got) == sorted((r.doc_id or -1, r.n_copies) for r in again)
     assert mixing.mix(docs.limit(0), levels, {}, budget=10).count() == 0
+
+
+def test_clashing_columns(spark):
+    docs = spark.createDataFrame([(i, "a b c", "en") for i in range(50)], "doc_id long, text string, lang string")
+    names = ["_l0", "_k", "_h", "_n", "_id", "_row", "_bucket", "_epochs", "_rest", "_last", "_before", "_more", "t", "tokens"]
+    plain = mixing.mix(docs, [F.col("lang")], {}, budget=60).select("doc_id", "n_copies").collect()
+    got = mixing.mix(docs.withColumns({n: F.lit(n) for n in names}), [F.col("lang")], {}, budget=60)
+    assert got.columns == [*docs.columns, *names, "n_tokens", "n_copies"]
+    rows = got.collect()
+    assert sorted((r.doc_id, r.n_copies) for r in rows) == sorted(map(tuple, plain)) and len(rows) == 20
+    assert all([r[n] for n in names] == names for r in rows)
+
+
+def brute(tokens, weights, budget, epochs):
+    """Water rises over the tree in small steps: whoever still has room gets its share by weight."""
+    used = dict.fromkeys(tokens, 0.0)
+    room = lambda prefix: sum(epochs * n - used[x] for x, n in tokens.items() if x[: len(prefix)] == prefix)
+
+    def pour(prefix, amount):
+        below = sorted({x[: len(prefix) + 1] for x in tokens if x[: len(prefix)] == prefix})
+        if prefix in tokens:
+            used[prefix] += amount
+            return
+        left = amount
+        while left > 1e-9:
+            open_ = [k for k in below if room(k) > 1e-9]
+            total = sum(weights.get(k, 1) for k in open_)
+            step = min([left, *(room(k) * total / weights.get(k, 1) for k in open_)])
+            for k in open_:
+                pour(k, step * weights.get(k, 1) / total)
+            left -= step
+
+    pour((), min(budget, epochs * sum(tokens.values())))
+    return used
+
+
+def test_budgets_by_brute_force():
+    import random
+
+    rng = random.Random(6)
+    for _ in range(60):
+        tokens = {(a, b): rng.randrange(1, 400) for a in "abc" for b in "xyz"[: rng.randrange(1, 4)]}
+        weights = {k: rng.randrange(1, 6) for k in [("a",), ("b",), ("a", "x"), ("c", "y")]}
+        budget, epochs = rng.randrange(1, 4000), rng.randrange(1, 4)
+        got, want = mixing.budgets(tokens, weights, budget, epochs), brute(tokens, weights, budget, epochs)
+        assert sum(got.values()) == min(budget, epochs * sum(tokens.values()))
+        assert all(abs(got[k] - want[k]) <= 4 for k in tokens)

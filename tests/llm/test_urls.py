@@ -30,3 +30,11 @@ def test_full_filter_only_costs_time(spark):
     for blocks in (1, 1 << 15):
         assert {k: v[3] for k, v in judged(spark, rows, listed, max_blocks=blocks).items()} == want
     assert judged(spark, [], listed) == {} and judged(spark, rows[:2], [])[0][3] == "allow"
+
+
+def test_clashing_columns(spark):
+    names = ["w0", "w7", "block", "key", "at", "maybe", "sure", "row", "_at", "_key", "_block", "a.b"]
+    pages = spark.createDataFrame([(1, "http://listed.org/p", *range(12)), (2, "http://x.net/es/1", *range(12))], ["page_id", "url", *names])
+    got = urls.judge(pages, spark.createDataFrame([("listed.org/p",)], "url string"), URL_RULES)
+    assert got.columns == [*pages.columns, "host", "path", "rule", "verdict", "listed"]
+    assert [tuple(r)[2:14] + (r.verdict,) for r in got.orderBy("page_id").collect()] == [(*range(12), "block")] * 2
