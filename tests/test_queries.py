@@ -13,7 +13,7 @@ SMALL = "/root/testdata/sf0.001"
 PICKED = [
     "feed_unpivot_lineitem", "msg_render", "msg_parse_offset", "msg_parse_equal", "html_lang_by_offset", "route_load_skew", "series_windows", "seed_values", "rotation_printed_safe", "few_labels", "rotation_anchor", "kmeans_native",
     "kmeans_iterations", "memo_canonical_hits", "transition_full", "anomalies_ten", "anomalies_all_equal", "cluster_ops", "markov_ops_k53", "release_idle", "unsynced_inversions", "anomaly_asof_order", "anomaly_interval_events",
-    "chain_staged", "ingest_lazy", "share_grouping_sets", "udf_labels_sql", "stream_session", "stream_dedup", "stream_anomalies",
+    "chain_staged", "ingest_lazy", "memo_canonical_labels", "release_delay", "fleet_synced", "stream_correlate", "share_grouping_sets", "udf_labels_sql", "stream_session", "stream_dedup", "stream_anomalies",
 ]
 
 
