@@ -49,6 +49,22 @@ def test_clashing_columns(spark):
     assert all([r[n] for n in names] == names for r in rows)
 
 
+def test_many_leaves(spark, monkeypatch):
+    """Beyond MAX_LEAVES the budgets are spread on the executors, with the same rows."""
+    rows = [(i, "w " * (i * 7 % 11 + 1), ["en", "de", None][i % 3], f"s{i % 40 if i % 2 else 0}") for i in range(1200)] + [(2000, None, "fr", "empty"), (None, "lost words", "en", "s1")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    levels = [F.substring("source", 1, 2), F.col("lang"), F.col("source")]
+    weights = {("s1",): 5, ("s1", "en"): 2.5, ("s2", "de"): 0}
+
+    def selected(budget):
+        return sorted((r.doc_id or -1, r.n_copies, r.n_tokens) for r in mixing.mix(docs, levels, weights, budget=budget, epochs=3).collect())
+
+    want = {b: selected(b) for b in (1, 2500, 30_000)}
+    monkeypatch.setattr(mixing, "MAX_LEAVES", 3)
+    assert {b: selected(b) for b in want} == want and len(want[2500]) > 100
+    assert mixing.mix(docs, levels, weights, fraction=0.5).count() > 0
+
+
 def brute(tokens, weights, budget, epochs):
     """Water rises over the tree in small steps: whoever still has room gets its share by weight."""
     used = dict.fromkeys(tokens, 0.0)
