@@ -2,34 +2,59 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.kernel import Block, Options, clusters, probabilities
+from ..plans.chain import divided
 from ..ship import ship
 
 
-def _labels(values, k: int) -> np.ndarray:
-    block = Block(np.asarray(values, np.int64), len(values))
-    return clusters(block, np.zeros(1, np.int64), np.array([min(int(k), len(block.values))]), Options(w=len(values)))[0]
+def _alike(w: pa.Array, k: pa.Array, *more: pa.Array) -> Iterator[tuple[np.ndarray, int, np.ndarray]]:
+    """(rows, length, labels) of the windows of each length; rows without values or clusters are left out."""
+    size = pc.fill_null(pc.list_value_length(w), 0).to_numpy(zero_copy_only=False)
+    good = (size > 0) & (pc.fill_null(k, 0).to_numpy(zero_copy_only=False) != 0)
+    for x in more:
+        good &= x.is_valid().to_numpy(zero_copy_only=False)
+    for n in np.unique(size[good]):
+        rows = np.flatnonzero(good & (size == n))
+        flat = w.take(pa.array(rows)).flatten()
+        if flat.null_count:
+            raise TypeError("a window holds null")
+        v = (flat if pa.types.is_integer(flat.type) else pc.trunc(flat)).cast(pa.int64()).to_numpy()
+        at = np.arange(len(rows)) * int(n)
+        block = Block(v, int(n), np.repeat(np.arange(len(rows), dtype=np.int32), n))
+        distinct = (block.last.reshape(len(rows), n) < 0).sum(1)
+        yield rows, int(n), clusters(block, at, np.minimum(k.take(pa.array(rows)).to_numpy(), distinct), Options(w=int(n)))[0]
 
 
 def _cluster_labels(w: pa.Array, k: pa.Array) -> pa.Array:
-    return pa.array([None if not v or not n else _labels(v, n)[0].tolist() for v, n in zip(w.to_pylist(), k.to_pylist())], pa.list_(pa.int32()))
+    """The windows of a batch that are as long are clustered together."""
+    parts, place, start = [pa.array([], pa.list_(pa.int32()))], np.full(len(w), -1), 0
+    for rows, n, labels in _alike(w, k):
+        parts.append(pa.ListArray.from_arrays(pa.array(np.arange(len(rows) + 1, dtype=np.int32) * n), pa.array(labels.astype(np.int32).ravel())))
+        place[rows] = start + np.arange(len(rows))
+        start += len(rows)
+    return pa.concat_arrays(parts).take(pa.array(place, mask=place < 0))
 
 
 def _window_p(w: pa.Array, k: pa.Array, n: pa.Array) -> pa.Array:
-    out = []
-    for v, c, t in zip(w.to_pylist(), k.to_pylist(), n.to_pylist()):
-        if not v or not c or len(v) < 2:
-            out.append(None)
+    p = np.full(len(w), np.nan)
+    for rows, size, labels in _alike(w, k, n):
+        if size < 2:
             continue
-        num, den, _ = probabilities(_labels(v, c), np.zeros(1, np.int64), np.zeros(1, np.int64), Options(w=len(v), n=t))
-        out.append(int(num[0]) / int(den[0]))
-    return pa.array(out, pa.float64())
+        last = n.take(pa.array(rows)).to_numpy()
+        for t in np.unique(last):
+            some = np.flatnonzero(last == t)
+            num, den, _ = probabilities(labels, some, np.zeros(len(some), np.int64), Options(w=size, n=int(t)))
+            p[rows[some]] = divided(num, den)
+    return pa.array(p, mask=np.isnan(p))
 
 
 def _least_likely(p: pd.Series) -> float:
