@@ -2,8 +2,8 @@
 
 Readings wait until the watermark has passed them and are then used in time order, so a
 stream gives the batch's anomalies whatever the order within the watermark's delay. A
-series' state is its last ``w`` values and its waiting rows. Rows behind the watermark
-are dropped by Spark and counted in its progress metrics.
+series' state is its last ``w`` values and its waiting rows, packed into bytes. Rows
+behind the watermark are dropped by Spark and counted in its progress metrics.
 """
 
 from __future__ import annotations
@@ -17,24 +17,23 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators.kernel import RULES, Options, scan
+from ..plans.chain import divided
 from ..ship import ship
 from ..sources.feeds import SERIES
 from ..sources.params import attach
 
 OUT = "machine_id long, sensor_id string, rn long, ts timestamp, p double, rule string"
-STATE = "ring array<long>, rn long, k int, ts array<long>, tick array<long>, v array<long>"
+STATE = "ring array<long>, rn long, k int, waiting binary"
 
 
-def _advance(ring: list[int], rn: int, ready: np.ndarray, k: int, o: Options) -> tuple[list[int], int, list]:
-    """Uses ready rows (time, tick, value) in order: the new ring, its last row number, and the scored windows."""
+def _advance(ring: list[int], rn: int, ready: np.ndarray, k: int, o: Options) -> tuple[list[int], int, dict[str, np.ndarray]]:
+    """Uses ready rows (time, tick, value) in order: the new ring, its last row number, and the scored windows' columns."""
     v = np.append(np.array(ring, np.int64), ready[2])
-    out = []
+    out = {}
     if len(v) >= o.w and ready.size:
-        skip = max(0, len(ring) - o.w + 1)
-        got = scan(v, k, skip, o)
-        for i, (num, den, rule) in enumerate(zip(got["num"], got["den"], got["rule"])):
-            at = skip + i + o.w - 1 - len(ring)
-            out.append((rn + at + 1, int(ready[0, at]), int(num) / int(den), RULES[rule]))
+        got = scan(v, k, max(0, len(ring) - o.w + 1), o)
+        at = got["at"] + o.w - 1 - len(ring)
+        out = {"rn": rn + at + 1, "ts": ready[0, at].astype("datetime64[us]"), "p": divided(got["num"], got["den"]), "rule": np.array(RULES, object)[got["rule"]]}
     return v[-o.w :].tolist(), rn + ready.shape[1], out
 
 
@@ -45,8 +44,8 @@ def detect(readings: DataFrame, params: DataFrame, w: int = 10, n: int = 5, dela
     rows = attach(readings, params).withWatermark("ts", delay).select(*SERIES, "ts", "tick", "v", "k")
 
     def follow(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        ring, rn, k, *held = state.get if state.exists else ([], 0, 1, [], [], [])
-        parts = [np.array([list(x) for x in held], np.int64).reshape(3, -1)]
+        ring, rn, k, held = state.get if state.exists else ([], 0, 1, b"")
+        parts = [np.frombuffer(held, np.int64).reshape(3, -1)]
         for b in batches:
             if not len(b):  # a timeout brings no rows
                 continue
@@ -57,12 +56,12 @@ def detect(readings: DataFrame, params: DataFrame, w: int = 10, n: int = 5, dela
         cut = int(np.searchsorted(waiting[0], state.getCurrentWatermarkMs() * 1000, "right"))
         ready, rest = waiting[:, :cut], waiting[:, cut:]
         ring, rn, out = _advance(list(ring), rn, ready, int(k), o)
-        state.update((ring, rn, int(k), *(x.tolist() for x in rest)))
+        state.update((ring, rn, int(k), rest.tobytes()))
         if rest.size:
             # Comes back when the watermark passes the next row, with or without new readings.
             state.setTimeoutTimestamp(max(int(rest[0, 0]) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
         if out:
-            yield pd.DataFrame({"machine_id": key[0], "sensor_id": key[1], "rn": [x[0] for x in out], "ts": pd.to_datetime([x[1] for x in out], unit="us"), "p": [x[2] for x in out], "rule": [x[3] for x in out]})
+            yield pd.DataFrame({"machine_id": key[0], "sensor_id": key[1]} | out)
 
     return rows.groupBy(*SERIES).applyInPandasWithState(follow, OUT, STATE, "append", GroupStateTimeout.EventTimeTimeout)
 

@@ -1,9 +1,12 @@
 """Streams run to their end: where rows go, what state holds, and edges of the joins in time."""
 
 import duckdb
+import numpy as np
 
 from shiftscan import catalogue
+from shiftscan.operators.kernel import RULES, Options, scan
 from shiftscan.sources import streams
+from shiftscan.streaming import chain as stream
 
 SMALL = "/root/testdata/sf0.001"
 
@@ -23,3 +26,27 @@ def test_an_empty_stream_lands(spark, tmp_path):
     rows.write.parquet(f"{tmp_path}/in")
     none = spark.readStream.schema(rows.schema).parquet(f"{tmp_path}/in").where("id > 5")
     assert streams.landed(none, "none").collect() == []
+
+
+def test_detected_windows_land_and_rows_wait_as_bytes(spark):
+    """Only anomalies reach the sink, and a series' waiting rows are one value of its state."""
+    got = catalogue.RUNS["stream_anomalies"](spark, "/root/testdata/sf0.01")
+    assert got.inputFiles() and spark.read.parquet(*got.inputFiles()).count() == got.count() == 53
+    assert "waiting binary" in stream.STATE
+
+
+def test_windows_in_steps_are_those_of_the_batch():
+    """A series used in pieces of any size gives the columns of all at once."""
+    rng = np.random.default_rng(7)
+    o, v = Options(w=6), rng.integers(0, 6, 200)
+    rows = np.stack([np.arange(200) * 10, np.arange(200), v])
+    want = scan(v, 3, 0, o)
+    for step in (1, 3, 7, 200):
+        ring, rn, parts = [], 0, []
+        for low in range(0, 200, step):
+            ring, rn, out = stream._advance(ring, rn, rows[:, low : low + step], 3, o)
+            if out:
+                parts.append(out)
+        both = {c: np.concatenate([x[c] for x in parts]) for c in parts[0]}
+        assert rn == 200 and both["rn"].tolist() == list(range(6, 201)) and both["ts"].astype(int).tolist() == rows[0, 5:].tolist()
+        assert both["p"].tolist() == [int(a) / int(b) for a, b in zip(want["num"], want["den"])] and both["rule"].tolist() == [RULES[x] for x in want["rule"]]
