@@ -93,7 +93,15 @@ def _counted(df: DataFrame, span) -> DataFrame:
 
 
 def correlate(anomalies: DataFrame, errors: DataFrame, delay: str = "2 hours") -> DataFrame:
-    """Errors within an hour of an anomaly, stream against stream."""
-    a = anomalies.withWatermark("ts", delay).alias("a")
-    e = errors.select(F.col("machine_id").alias("m"), F.col("ts").alias("error_ts")).withWatermark("error_ts", delay)
-    return a.join(e, F.expr("a.machine_id = m AND error_ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts + INTERVAL 1 HOUR"))
+    """Errors within an hour of an anomaly, stream against stream.
+
+    They meet by machine and hour of the clock: an anomaly stands in three hours, an error in one.
+    """
+
+    def hour(ts: str):
+        return F.floor(F.unix_seconds(ts) / 3600)
+
+    near = F.explode(F.sequence(hour("ts") - 1, hour("ts") + 1)).alias("_near")
+    a = anomalies.withWatermark("ts", delay).select("*", near).alias("a")
+    e = errors.select(F.col("machine_id").alias("m"), F.col("ts").alias("error_ts")).withWatermark("error_ts", delay).withColumn("_hour", hour("error_ts"))
+    return a.join(e, F.expr("a.machine_id = m AND _near = _hour AND error_ts BETWEEN a.ts - INTERVAL 1 HOUR AND a.ts + INTERVAL 1 HOUR")).drop("_near", "_hour")

@@ -50,3 +50,22 @@ def test_windows_in_steps_are_those_of_the_batch():
         both = {c: np.concatenate([x[c] for x in parts]) for c in parts[0]}
         assert rn == 200 and both["rn"].tolist() == list(range(6, 201)) and both["ts"].astype(int).tolist() == rows[0, 5:].tolist()
         assert both["p"].tolist() == [int(a) / int(b) for a, b in zip(want["num"], want["den"])] and both["rule"].tolist() == [RULES[x] for x in want["rule"]]
+
+
+def test_errors_meet_anomalies_by_the_hour(spark, tmp_path):
+    """Every error within an hour comes once, the ends included; the join has the hour among its keys."""
+    t = 1_704_067_200_000_000  # a full hour, in microseconds
+    times = [t + x for x in (-3_600_000_001, -3_600_000_000, -1, 0, 1, 1_800_000_000, 3_599_999_999, 3_600_000_000, 3_600_000_001, 7_200_000_000)]
+    rows = spark.createDataFrame([(m, i, x) for m in (1, 2) for i, x in enumerate(times)], "machine_id long, rn long, at long").selectExpr("machine_id", "rn", "timestamp_micros(at) AS ts")
+    rows.write.parquet(f"{tmp_path}/in")
+    one = spark.readStream.schema(rows.schema).parquet(f"{tmp_path}/in")
+    both = stream.correlate(one, one.select("machine_id", "ts"))
+    assert "_near" in both._jdf.queryExecution().analyzed().toString()
+    got = streams.landed(both.selectExpr("machine_id", "rn", "unix_micros(error_ts) AS at"), "pairs").collect()
+    want = [(m, i, y) for m in (1, 2) for i, x in enumerate(times) for y in times if abs(x - y) <= 3_600_000_000]
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
+def test_correlated_rows_land_in_files(spark):
+    got = catalogue.RUNS["stream_correlate"](spark, SMALL)
+    assert got.inputFiles()
